@@ -3,8 +3,12 @@
 from __future__ import annotations
 
 from gradsift.llm.jaccard_join import op8_signature_tree_join
+from gradsift.llm.packing import op1_best_two_fit
+from gradsift.llm.tokens import op3_bpe_round_trip
 
 QUERIES = {
+    "op1_best_two_fit": op1_best_two_fit,
+    "op3_bpe_round_trip": op3_bpe_round_trip,
     "op8_signature_tree_join": op8_signature_tree_join,
 }
 ORACLES: dict[str, str] = {}
