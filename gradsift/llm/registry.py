@@ -5,12 +5,14 @@ from __future__ import annotations
 from gradsift.llm.chat import OP10_SQL, op10_grammar_round_trip
 from gradsift.llm.jaccard_join import op8_signature_tree_join
 from gradsift.llm.packing import op1_best_two_fit
+from gradsift.llm.quality import op4_robust_outliers
 from gradsift.llm.sharding import op5_hilbert_shards
 from gradsift.llm.tokens import op3_bpe_round_trip
 
 QUERIES = {
     "op1_best_two_fit": op1_best_two_fit,
     "op3_bpe_round_trip": op3_bpe_round_trip,
+    "op4_robust_outliers": op4_robust_outliers,
     "op5_hilbert_shards": op5_hilbert_shards,
     "op8_signature_tree_join": op8_signature_tree_join,
     "op10_grammar_round_trip": op10_grammar_round_trip,
