@@ -7,10 +7,12 @@ from gradsift.llm.jaccard_join import op8_signature_tree_join
 from gradsift.llm.packing import op1_best_two_fit
 from gradsift.llm.quality import op4_robust_outliers
 from gradsift.llm.sharding import op5_hilbert_shards
+from gradsift.llm.suffix_dedup import op2_difference_cover
 from gradsift.llm.tokens import op3_bpe_round_trip
 
 QUERIES = {
     "op1_best_two_fit": op1_best_two_fit,
+    "op2_difference_cover": op2_difference_cover,
     "op3_bpe_round_trip": op3_bpe_round_trip,
     "op4_robust_outliers": op4_robust_outliers,
     "op5_hilbert_shards": op5_hilbert_shards,
