@@ -63,10 +63,14 @@ def pieces(offsets: np.ndarray, limit: int = 1 << 20):
         i = j
 
 
-def words(data: np.ndarray, offsets: np.ndarray, lower: bool = True) -> tuple[np.ndarray, np.ndarray]:
-    """Hash of each word and, per document, the number of its first word (len docs + 1)."""
+def words(data: np.ndarray, offsets: np.ndarray, lower: bool = True, ends: bool = False):
+    """Hash of each word and, per document, the number of its first word (len docs + 1).
+
+    ``ends``: the place behind each word is returned too.
+    """
     if not len(data):
-        return np.zeros(0, np.uint64), np.zeros(len(offsets), np.int64)
+        none = np.zeros(0, np.uint64), np.zeros(len(offsets), np.int64)
+        return (*none, np.zeros(0, np.int64)) if ends else none
     a = LOWER[data] if lower else data
     inside = ~IS_SPACE[a]
     edge = np.zeros(len(a) + 1, bool)
@@ -83,7 +87,8 @@ def words(data: np.ndarray, offsets: np.ndarray, lower: bool = True) -> tuple[np
     total = np.zeros(len(a) + 1, np.uint64)
     np.cumsum(BYTE_CODE[a] * up[:-1], out=total[1:])
     h = mix((total[end] - total[start]) * down[start] + (end - start).astype(np.uint64))
-    return h, np.searchsorted(start, offsets)
+    first = np.searchsorted(start, offsets)
+    return (h, first, end) if ends else (h, first)
 
 
 def shingles(h: np.ndarray, first: np.ndarray, k: int):
@@ -111,6 +116,6 @@ def rolling(data: np.ndarray, q: int) -> np.ndarray:
     size, power = 1, R
     while size < q:
         h = h[:-size] * power + h[size:]
-        power = power * power
+        power = U(int(power) ** 2 % 2**64)
         size *= 2
     return mix(h)
