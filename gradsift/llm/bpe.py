@@ -19,10 +19,12 @@ import numpy as np
 import regex
 
 #: Most words or chunks that a cache holds; it starts anew beyond.
-CACHE = 300_000
+CACHE = 700_000
 #: Rows up to this many symbols are merged in a matrix, longer ones by a heap and windows.
 SHORT = 48
 END = "<|endoftext|>"
+# Marks that are words of their own behind letters.
+MARKS = frozenset(".,;:!?")
 
 
 def byte_letters() -> list[str]:
@@ -213,7 +215,43 @@ BYTE_WORDS = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{
 RUNS = [regex.compile(r"\p{L}+"), regex.compile(r"\p{N}+"), regex.compile(r"[^\s\p{L}\p{N}]+"), regex.compile(r"\s+")]
 
 
-class ByteStreamEncoder:
+class Chunks:
+    """Bounded caches of the ids of words and of chunks of words."""
+
+    def __init__(self):
+        self.chunks: dict[str, bytes] = {}
+        self.words: dict[str, bytes] = {}
+
+    def _fill(self, keys, forms, pattern, merges: MergeTable, inner, last) -> None:
+        """Ids of the chunks ``keys``, whose words the pattern finds in ``forms``.
+
+        A run of letters, behind a space or not, is one word, and so is a mark at its end.
+        """
+        words, one, two, more = self.words, [], [], []
+        for c, f in zip(keys, forms, strict=True):
+            body = f[1:] if f[:1] == " " else f
+            if body.isalpha():
+                one.append((c, f))
+            elif body[-1:] in MARKS and body[:-1].isalpha():
+                two.append((c, f[:-1], f[-1]))
+            else:
+                more.append((c, pattern.findall(f)))
+        new = {f for _, f in one}
+        new.update(f for _, f, _ in two)
+        new.update(m for _, _, m in two)
+        new.update(w for _, ws in more for w in ws)
+        new = [w for w in new if w not in words]
+        words.update(zip(new, merges.encode_words([w.encode() for w in new], inner, last), strict=True))
+        chunks = self.chunks
+        for c, f in one:
+            chunks[c] = words[f]
+        for c, f, m in two:
+            chunks[c] = words[f] + words[m]
+        for c, ws in more:
+            chunks[c] = b"".join([words[w] for w in ws])
+
+
+class ByteStreamEncoder(Chunks):
     """Encodes text fed in blocks; ``feed`` and ``finish`` return little-endian ids.
 
     A word boundary of the pattern is stable once the characters behind it are known, so all
@@ -224,9 +262,8 @@ class ByteStreamEncoder:
     LIMIT = 4096
 
     def __init__(self, path: str):
+        super().__init__()
         self.v = byte_vocabulary(path)
-        self.chunks: dict[str, bytes] = {}
-        self.words: dict[str, bytes] = {}
         self.tail, self.run, self.long = "", None, LongRun(self.v.merges)
 
     def _learn(self, missing: set[str]) -> None:
@@ -234,12 +271,7 @@ class ByteStreamEncoder:
             self.chunks.clear()
         if len(self.words) > CACHE:
             self.words.clear()
-        cut = [(c, BYTE_WORDS.findall(c)) for c in missing]
-        new = list({w for _, ws in cut for w in ws if w not in self.words})
-        symbol = self.v.symbol
-        self.words.update(zip(new, self.v.merges.encode_words([w.encode() for w in new], symbol, symbol), strict=True))
-        for c, ws in cut:
-            self.chunks[c] = b"".join([self.words[w] for w in ws])
+        self._fill(missing, missing, BYTE_WORDS, self.v.merges, self.v.symbol, self.v.symbol)
 
     @staticmethod
     def _split(text: str) -> list[str]:
@@ -358,7 +390,7 @@ LOWER_WORDS = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}
 ODD = ("<|", "\x1c", "\x1d", "\x1e", "\x1f")
 
 
-class WordEncoder:
+class WordEncoder(Chunks):
     """Ids of the lower-casing vocabulary with word ends, equal to the library's.
 
     White space is dropped and never joined, so each chunk between white space is encoded by
@@ -369,6 +401,7 @@ class WordEncoder:
     def __init__(self, path: str):
         from tokenizers import Tokenizer
 
+        super().__init__()
         self.library = Tokenizer.from_file(path)
         self.normal = self.library.normalizer
         with open(path, encoding="utf-8") as f:
@@ -381,19 +414,19 @@ class WordEncoder:
         self.merges = MergeTable([(vocab[a], vocab[b], vocab[a + b]) for a, b in pairs], width)
         self.inner = np.array([vocab[c] for c in byte_letters()], np.int64)
         self.last = np.array([vocab[c + mark] for c in byte_letters()], np.int64)
-        self.chunks: dict[str, bytes] = {}
-        self.words: dict[str, bytes] = {}
 
     def _learn(self, missing: set[str]) -> None:
         if len(self.chunks) + len(missing) > CACHE:
             self.chunks.clear()
         if len(self.words) > CACHE:
             self.words.clear()
-        cut = [(c, LOWER_WORDS.findall(c.lower() if c.isascii() else self.normal.normalize_str(c))) for c in missing]
-        new = list({w for _, ws in cut for w in ws if w not in self.words})
-        self.words.update(zip(new, self.merges.encode_words([w.encode() for w in new], self.inner, self.last), strict=True))
-        for c, ws in cut:
-            self.chunks[c] = b"".join([self.words[w] for w in ws])
+        plain = [c for c in missing if c.isascii()]
+        other = [c for c in missing if not c.isascii()]
+        # chunks hold no white space, and normalising neither adds nor takes any
+        normal = self.normal.normalize_str(" ".join(other)).split(" ") if other else []
+        if len(normal) != len(other):
+            normal = [self.normal.normalize_str(c) for c in other]
+        self._fill(plain + other, [c.lower() for c in plain] + normal, LOWER_WORDS, self.merges, self.inner, self.last)
 
     def encode(self, texts: list[str]) -> list[bytes]:
         split = [None if any(x in t for x in ODD) else t.split() for t in texts]
