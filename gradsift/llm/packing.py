@@ -143,7 +143,7 @@ def pack_documents(docs: DataFrame, path: str, capacity: int = 4096, end_id: int
     plan = best_two_fit({r.length: r.n for r in counts.groupBy("length").agg(F.sum("n").alias("n")).collect()}, capacity)
     before = Window.partitionBy("length").orderBy("task").rowsBetween(Window.unboundedPreceding, -1)
     shifts = counts.select("task", "length", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("shift"))
-    ranked = pieces.join(shifts, ["task", "length"]).withColumn("rank", F.col("local") + F.col("shift"))
+    ranked = pieces.join(shifts.hint("merge"), ["task", "length"]).withColumn("rank", F.col("local") + F.col("shift"))
     return ranked.drop("task", "local", "shift").mapInArrow(
         _placer(plan), "doc_id long, piece int, start long, length long, ids_crc32 long, sequence_id long, offset long"
     )
