@@ -100,11 +100,11 @@ def order_features(spark: SparkSession, d: str) -> DataFrame:
         F.substring("o_orderpriority", 1, 1).cast("int") / 5.0,
     ]
     noise = (F.col("o_orderkey") * 7919 % 101 - 50) / 500.0
-    out = j.select(F.col("o_orderkey").alias("ex_id"), *(F.round(c, 4).alias(f"x{i}") for i, c in enumerate(x)), F.round(noise, 3).alias("noise"))
+    out = j.select(F.col("o_orderkey").alias("ex_id"), *(c.cast("double").alias(f"x{i}") for i, c in enumerate(x)), noise.alias("noise"))
     y = F.col("noise")
     for i, c in enumerate(PLANTED):
         y = y + F.col(f"x{i}") * F.lit(c)
-    return out.select("ex_id", *(f"x{i}" for i in range(DIM)), F.round(y, 4).alias("y"))
+    return out.select("ex_id", *(f"x{i}" for i in range(DIM)), y.alias("y"))
 
 
 def ridge_examples(spark: SparkSession, d: str, workers: int = 4) -> DataFrame:
@@ -114,11 +114,11 @@ def ridge_examples(spark: SparkSession, d: str, workers: int = 4) -> DataFrame:
 
 
 ORDER_FEATURES_SQL = f"""
-SELECT ex_id, {", ".join(f"x{i}" for i in range(DIM))}, round(noise{"".join(f" + x{i} * ({c})" for i, c in enumerate(PLANTED))}, 4) AS y FROM (
- SELECT o_orderkey AS ex_id, 1.0::DOUBLE AS x0, round(n / 8.0::DOUBLE, 4) AS x1, round(q / (m * 50.0::DOUBLE), 4) AS x2,
-  round(disc / (m * 10.0::DOUBLE), 4) AS x3, round(r / (m * 1.0::DOUBLE), 4) AS x4, round(size / (m * 50.0::DOUBLE), 4) AS x5,
-  round(o_totalprice / 500000.0::DOUBLE, 4) AS x6, round(CAST(substr(o_orderpriority, 1, 1) AS INTEGER) / 5.0::DOUBLE, 4) AS x7,
-  round((o_orderkey * 7919 % 101 - 50) / 500.0::DOUBLE, 3) AS noise
+SELECT ex_id, {", ".join(f"x{i}" for i in range(DIM))}, noise{"".join(f" + x{i} * ({c}::DOUBLE)" for i, c in enumerate(PLANTED))} AS y FROM (
+ SELECT o_orderkey AS ex_id, 1.0::DOUBLE AS x0, n / 8.0::DOUBLE AS x1, q / (m * 50.0::DOUBLE) AS x2,
+  disc / (m * 10.0::DOUBLE) AS x3, r / (m * 1.0::DOUBLE) AS x4, size / (m * 50.0::DOUBLE) AS x5,
+  o_totalprice / 500000.0::DOUBLE AS x6, CAST(substr(o_orderpriority, 1, 1) AS INTEGER) / 5.0::DOUBLE AS x7,
+  (o_orderkey * 7919 % 101 - 50) / 500.0::DOUBLE AS noise
  FROM (
   SELECT o.*, coalesce(a.n, 0)::DOUBLE AS n, coalesce(a.q, 0)::DOUBLE AS q, coalesce(a.r, 0)::DOUBLE AS r, coalesce(a.disc, 0)::DOUBLE AS disc,
    coalesce(a.size, 0)::DOUBLE AS size, greatest(coalesce(a.n, 0), 1)::DOUBLE AS m
