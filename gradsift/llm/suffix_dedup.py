@@ -149,32 +149,35 @@ def _sample(length: int, q: int, buckets: int):
         for batch in batches:
             data, offsets = K.raw(batch.column(1))
             ids = batch.column(0).to_numpy(zero_copy_only=False).astype(np.int64)
-            parts = []
-            for i, j in K.pieces(offsets, 2 << 20):
-                lo, hi = offsets[i], offsets[j]
-                doc, at, h, c = anchors(data[lo:hi], offsets[i : j + 1] - lo, length, q)
-                parts.append((ids[doc + i], at, h, c))
-            if not parts:
-                continue
-            doc, at, h, c = (np.concatenate(x) for x in zip(*parts, strict=True))
-            # equal contexts of this batch: the smallest document speaks for all
-            order = np.lexsort((doc, K.mix(h * K.STEP[23] + c)))
-            same = np.zeros(len(order), bool)
-            same[1:] = (h[order][1:] == h[order][:-1]) & (c[order][1:] == c[order][:-1])
-            head = order[np.maximum.accumulate(np.where(same, 0, np.arange(len(order))))] if len(order) else order
-            covered = order[doc[order] > doc[head]]
-            keep = np.ones(len(doc), bool)
-            keep[covered] = False
-            found = []
-            if len(covered):
-                covered = covered[np.argsort(doc[covered], kind="stable")]
-                for b, part in _deal(_doc_key(doc[covered]), buckets):
-                    part = covered[part]
-                    found.append((b, COVER, _places(doc[part], at[part])))
-            doc, at, h, c = doc[keep], at[keep], h[keep], c[keep]
-            for b, part in _deal(h, buckets):
-                found.append((b, ANCHOR, pickle.dumps([_cut(h[part] >> K.U(24), 5), _cut(c[part] >> K.U(8), 7), _places(doc[part], at[part])], 5)))
-            yield _rows(found)
+            for first, last in K.pieces(offsets, BUCKET_BYTES):
+                yield deal(data, offsets, ids, first, last)
+
+    def deal(data, offsets, ids, first, last) -> pa.RecordBatch:
+        parts = []
+        for i, j in K.pieces(offsets[first : last + 1], 2 << 20):
+            i, j = i + first, j + first
+            lo, hi = offsets[i], offsets[j]
+            doc, at, h, c = anchors(data[lo:hi], offsets[i : j + 1] - lo, length, q)
+            parts.append((ids[doc + i], at, h, c))
+        doc, at, h, c = (np.concatenate(x) for x in zip(*parts, strict=True))
+        # equal contexts of this batch: the smallest document speaks for all
+        order = np.lexsort((doc, K.mix(h * K.STEP[23] + c)))
+        same = np.zeros(len(order), bool)
+        same[1:] = (h[order][1:] == h[order][:-1]) & (c[order][1:] == c[order][:-1])
+        head = order[np.maximum.accumulate(np.where(same, 0, np.arange(len(order))))] if len(order) else order
+        covered = order[doc[order] > doc[head]]
+        keep = np.ones(len(doc), bool)
+        keep[covered] = False
+        found = []
+        if len(covered):
+            covered = covered[np.argsort(doc[covered], kind="stable")]
+            for b, part in _deal(_doc_key(doc[covered]), buckets):
+                part = covered[part]
+                found.append((b, COVER, _places(doc[part], at[part])))
+        doc, at, h, c = doc[keep], at[keep], h[keep], c[keep]
+        for b, part in _deal(h, buckets):
+            found.append((b, ANCHOR, pickle.dumps([_cut(h[part] >> K.U(24), 5), _cut(c[part] >> K.U(8), 7), _places(doc[part], at[part])], 5)))
+        return _rows(found)
 
     return run
 
@@ -242,7 +245,7 @@ def _fetch(length: int, q: int, buckets: int):
             for b, part in _deal(K.mix(h.astype(np.uint64)), buckets):
                 size = (end - start)[part]
                 idx = np.repeat(place[part] + start[part] - (np.cumsum(size) - size), size) + np.arange(int(size.sum()))
-                blob = [_thin(h[part], 4), zlib.compress(data[idx].tobytes(), 1), _thin(size, 2), _places(doc[part], start[part])]
+                blob = [_thin(h[part], 4), zlib.compress(data[idx].tobytes(), 1), _thin(size, 2), _thin((at - start)[part], 2), _places(doc[part], start[part])]
                 found.append((b, REVIEW, pickle.dumps(blob, 5)))
         return pa.Table.from_batches([_rows(found)])
 
@@ -315,15 +318,38 @@ def covered_windows(contexts: list[tuple[np.ndarray, np.ndarray]], length: int):
     return starts[doc[own[starts]] > least[np.cumsum(fresh) - 1]], own
 
 
-def _order(length: int, buckets: int):
+def may_meet(data: np.ndarray, size: np.ndarray, h: np.ndarray, back: np.ndarray, length: int, q: int) -> np.ndarray:
+    """Which contexts can share a window with another one of their anchor.
+
+    A window holds the q-gram and, on one side of it, at least half of its other bytes; so these
+    must be equal in two contexts.  back: bytes of each context before its q-gram.
+    """
+    half = (length - q + 1) // 2
+    first = np.cumsum(size) - size
+    up, down = K.powers(len(data) + 1)
+    total = np.zeros(len(data) + 1, np.uint64)
+    np.cumsum(K.BYTE_CODE[data] * up[:-1], out=total[1:])
+    keep = np.zeros(len(size), bool)
+    for begin, ok in ((first + back - half, back >= half), (first + back + q, size - back - q >= half)):
+        at = np.flatnonzero(ok)
+        code = (total[begin[at] + half] - total[begin[at]]) * down[begin[at]]
+        code = K.mix(K.mix(code) + h[at].astype(np.uint64) * K.STEP[24])
+        _, inverse, count = np.unique(code, return_inverse=True, return_counts=True)
+        keep[at] |= count[inverse] > 1
+    return keep
+
+
+def _order(length: int, q: int, buckets: int):
     def run(t: pa.Table) -> pa.Table:
         parts = [pickle.loads(x) for x in t.column("blob").to_pylist()]
         h = np.concatenate([_wide(p[0], 4) for p in parts])
         size = np.concatenate([_wide(p[2], 2) for p in parts]).astype(np.int64)
         data = np.frombuffer(b"".join(zlib.decompress(p[1]) for p in parts), np.uint8)
-        doc, start = _read_places([p[3] for p in parts], 1)
-        by = np.argsort(h, kind="stable")
+        back = np.concatenate([_wide(p[3], 2) for p in parts]).astype(np.int64)
+        doc, start = _read_places([p[4] for p in parts], 1)
         first = np.cumsum(size) - size
+        by = np.flatnonzero(may_meet(data, size, h, back, length, q))
+        by = by[np.argsort(h[by], kind="stable")]
         cut = [0]  # whole groups of one anchor, as many as one sort takes
         edge = np.r_[np.flatnonzero(np.diff(h[by])) + 1, len(by)] if len(by) else []
         run_size = np.cumsum(size[by] + 1) if len(by) else []
@@ -445,7 +471,7 @@ def repeated_runs(docs: DataFrame, length: int = LENGTH, q: int = GRAM) -> DataF
 
     some = some.mapInArrow(place, "bucket int, doc_id long, text string")
     contexts = some.groupBy("bucket").cogroup(review.select("bucket", "blob").groupBy("bucket")).applyInArrow(_fetch(length, q, buckets), ROW)
-    spans = contexts.groupBy("bucket").applyInArrow(_order(length, buckets), ROW)
+    spans = contexts.groupBy("bucket").applyInArrow(_order(length, q, buckets), ROW)
     covers = named.where(F.col("kind") == COVER).unionByName(spans)
     return materialise(covers.groupBy("bucket").applyInArrow(_runs(length, q), "doc_id long, runs binary"), "suffix-runs")
 
