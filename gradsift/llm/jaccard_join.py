@@ -31,6 +31,8 @@ from gradsift.llm.common import connected_components, materialise, maybe_broadca
 #: Most texts that one tree of the join holds at a time.
 BLOCK = 256
 FANOUT = 8
+#: Parts into which the rows of one key are dealt where a key may be very frequent.
+SALTS = 32
 
 
 class Bands:
@@ -239,9 +241,13 @@ def signature_tree_join(docs: DataFrame, words: int = 5, percent: int = 80, bloc
         "join-members",
     )
     texts = materialise(
-        members.groupBy("cluster", "d1", "d2").agg(F.min("doc_id").alias("doc_id"), F.max("degree").alias("degree")), "join-texts"
+        members.groupBy("cluster", "d1", "d2").agg(F.min("doc_id").alias("doc_id"), F.max("degree").alias("degree"), F.count("*").alias("copies")), "join-texts"
     )
-    copies = members.join(texts.select("d1", "d2", F.col("doc_id").alias("v")), ["d1", "d2"]).where("doc_id <> v").select(F.col("doc_id").alias("u"), "v")
+    # copies of one text are dealt by salt, as a group may hold a third of all rows
+    heads = texts.where("copies > 1").select("d1", "d2", F.col("doc_id").alias("v"), F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
+    salted = members.withColumn("salt", F.pmod(F.xxhash64("doc_id"), F.lit(SALTS)).cast("int"))
+    copies = salted.join(heads, ["d1", "d2", "salt"]).where("doc_id <> v").select(F.col("doc_id").alias("u"), "v")
+    copies = materialise(copies, "join-copies")
     several = materialise(texts.groupBy("cluster").agg(F.count("*").alias("texts")).where("texts > 1"), "join-several")
     todo = materialise(texts.join(several, "cluster").select("doc_id", "cluster", "degree", "texts"), "join-todo")
     todo = maybe_broadcast(todo, todo.count())
@@ -271,13 +277,12 @@ def signature_tree_join(docs: DataFrame, words: int = 5, percent: int = 80, bloc
 
 def _large(sets: DataFrame, within, percent: int, block: int) -> list[DataFrame]:
     """Links of clusters of more than ``block`` texts: first to the leader, then block by block."""
-    salts = 32
     leader = materialise(
         sets.groupBy("cluster").agg(F.max(F.struct("degree", (-F.col("doc_id")).alias("d"))).alias("x")).select("cluster", (-F.col("x.d")).alias("doc_id")), "join-lead"
     )
     lead = sets.join(leader, ["cluster", "doc_id"]).select("cluster", F.col("doc_id").alias("lead"), F.col("shingles").alias("lead_set"))
-    lead = lead.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
-    rows = sets.withColumn("salt", F.pmod(F.xxhash64("doc_id"), F.lit(salts)).cast("int")).join(lead, ["cluster", "salt"])
+    lead = lead.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    rows = sets.withColumn("salt", F.pmod(F.xxhash64("doc_id"), F.lit(SALTS)).cast("int")).join(lead, ["cluster", "salt"])
 
     def attach(frames):
         for pdf in frames:
