@@ -209,7 +209,7 @@ def _walk(batches):
         ids, texts = held_id + b.column(0).to_pylist(), held + [t or "" for t in b.column(1).to_pylist()]
         if head is None and ids:
             head = {"id": ids[0], "text": texts[0]}
-        for i, j in text_blocks(texts[:-1]):
+        for i, j in text_blocks(texts[:-1], 1 << 20):
             yield _batch(ids[i : j + 1], texts[i : j + 1], part)
         held_id, held = ids[-1:], texts[-1:]
     if held:
