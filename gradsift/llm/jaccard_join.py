@@ -19,6 +19,7 @@ further columns are ignored; an empty table gives an empty table.
 from __future__ import annotations
 
 import math
+import pickle
 
 import numpy as np
 import pyarrow as pa
@@ -27,6 +28,7 @@ from pyspark.sql import functions as F
 
 from gradsift.llm import kernels as K
 from gradsift.llm.common import connected_components, materialise, maybe_broadcast, table
+from gradsift.llm.suffix_dedup import _cut, _deal, _grow, _steps, _thin, _wide
 
 #: Most texts that one tree of the join holds at a time.
 BLOCK = 256
@@ -83,39 +85,77 @@ def part_keys(s: np.ndarray, bands: Bands) -> np.ndarray:
     return np.concatenate(out)
 
 
-def _signatures(words: int, percent: int):
+#: kind 0: a document (a: set size, b and c: digest of the set); 1: a candidate pair (doc_id, a)
+#: with b common signatures; 2: signatures of bucket a, packed.
+SIGNED = "kind int, doc_id long, a long, b long, c long, blob binary"
+#: Bytes of text for each bucket of signatures.
+BUCKET_BYTES = 8 << 20
+
+
+def meet(key: np.ndarray, doc: np.ndarray):
+    """Documents that share a key with a smaller one: (kept rows, larger, smallest, times)."""
+    order = np.lexsort((doc, key))
+    fresh = np.ones(len(order), bool)
+    fresh[1:] = key[order][1:] != key[order][:-1]
+    head = order[np.maximum.accumulate(np.where(fresh, np.arange(len(order)), 0))] if len(order) else order
+    u, v = doc[order], doc[head]
+    pair = np.stack([u, v], 1)[u > v]
+    pairs, times = np.unique(pair, axis=0, return_counts=True) if len(pair) else (np.zeros((0, 2), np.int64), np.zeros(0, np.int64))
+    return order[fresh], pairs[:, 0], pairs[:, 1], times
+
+
+def _signed(doc, a, b, c, kind: int, blobs=None) -> pa.RecordBatch:
+    n = len(a)
+    col = lambda x: pa.nulls(n, pa.int64()) if x is None else pa.array(x, pa.int64())
+    return pa.RecordBatch.from_arrays(
+        [pa.array(np.full(n, kind, np.int32)), doc if isinstance(doc, pa.Array) else col(doc), col(a), col(b), col(c), pa.nulls(n, pa.binary()) if blobs is None else pa.array(blobs, pa.binary())],
+        ["kind", "doc_id", "a", "b", "c", "blob"],
+    )
+
+
+def _signatures(words: int, percent: int, buckets: int):
     def run(batches):
         bands = Bands(percent)
         for batch in batches:
             data, offsets = K.raw(batch.column(1))
-            n, d1, d2, counts, keys = [], [], [], [], []
-            for i, j in K.pieces(offsets):
-                lo, hi = offsets[i], offsets[j]
-                h, first = K.words(data[lo:hi], offsets[i : j + 1] - lo)
-                for s in K.shingles(h, first, words):
-                    n.append(len(s))
-                    own = part_keys(s, bands) if len(s) else s
-                    d1.append(K.mix(s).sum(dtype=np.uint64))
-                    d2.append((K.mix(s ^ K.STEP[11]) * K.STEP[12]).sum(dtype=np.uint64))
-                    counts.append(len(own))
-                    keys.append(own)
-            flat = np.concatenate(keys) if keys else np.zeros(0, np.uint64)
-            ends = np.zeros(len(counts) + 1, np.int32)
-            np.cumsum(counts, out=ends[1:])
-            yield pa.RecordBatch.from_arrays(
-                [
-                    batch.column(0),
-                    pa.array(n, pa.int64()),
-                    pa.array(np.array(d1, np.uint64).view(np.int64)),
-                    pa.array(np.array(d2, np.uint64).view(np.int64)),
-                    pa.ListArray.from_arrays(pa.array(ends), pa.array(flat.view(np.int64))),
-                ],
-                ["doc_id", "n_shingles", "d1", "d2", "keys"],
-            )
+            ids = batch.column(0).to_numpy(zero_copy_only=False)
+            null = batch.column(0).is_null().to_numpy(zero_copy_only=False)
+            for i, j in K.pieces(offsets, BUCKET_BYTES):
+                yield from sign(bands, batch.column(0).slice(i, j - i), data, offsets[i : j + 1], ids[i:j], null[i:j])
+
+    def sign(bands, column, data, offsets, ids, null):
+        n, d1, d2, counts, keys = [], [], [], [], []
+        for i, j in K.pieces(offsets):
+            lo, hi = offsets[i], offsets[j]
+            h, first = K.words(data[lo:hi], offsets[i : j + 1] - lo)
+            for k, s in enumerate(K.shingles(h, first, words), i):
+                n.append(len(s))
+                own = part_keys(s, bands) if len(s) and not null[k] else s[:0]
+                d1.append(K.mix(s).sum(dtype=np.uint64))
+                d2.append((K.mix(s ^ K.STEP[11]) * K.STEP[12]).sum(dtype=np.uint64))
+                counts.append(len(own))
+                keys.append(own)
+        yield _signed(column, n, np.array(d1, np.uint64).view(np.int64), np.array(d2, np.uint64).view(np.int64), 0)
+        key = np.concatenate(keys) if keys else np.zeros(0, np.uint64)
+        doc = np.repeat(np.where(null, 0, ids).astype(np.int64), counts)
+        kept, u, v, times = meet(key, doc)  # equal signatures of this batch travel once
+        yield _signed(u, v, times, None, 1)
+        kept.sort()
+        key, doc = key[kept], doc[kept]
+        dealt = [(b, pickle.dumps([_cut(key[part] >> K.U(16), 6), _thin(_steps(doc[part]), 8)], 5)) for b, part in _deal(key, buckets)]
+        yield _signed(None, [b for b, _ in dealt], None, None, 2, [x for _, x in dealt])
 
     return run
 
 
+def _pairs_of_bucket(t: pa.Table) -> pa.Table:
+    parts = [pickle.loads(x) for x in t.column("blob").to_pylist()]
+    key = np.concatenate([_grow(k, 6) for k, _ in parts])
+    doc = np.concatenate([np.cumsum(_wide(d, 8).view(np.int64)) for _, d in parts])
+    _, u, v, times = meet(key, doc)
+    return pa.table({"doc_id": pa.array(u, pa.int64()), "lo": pa.array(v, pa.int64()), "n": pa.array(times, pa.int64())})
+
+
 def _sets(words: int):
     def run(batches):
         for batch in batches:
@@ -223,17 +263,16 @@ def _unpack(column) -> list[np.ndarray]:
 def signature_tree_join(docs: DataFrame, words: int = 5, percent: int = 80, block: int = BLOCK) -> DataFrame:
     """(doc_id, n_shingles, component_id) for every row of docs(doc_id, text)."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    sig = materialise(
-        docs.mapInArrow(_signatures(words, percent), "doc_id long, n_shingles long, d1 long, d2 long, keys array<long>"), "join-sig"
-    )
+    total = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    buckets = max(12, -(-total // BUCKET_BYTES))
+    signed = materialise(docs.mapInArrow(_signatures(words, percent, buckets), SIGNED), "join-sig")
+    sig = signed.where("kind = 0").select("doc_id", F.col("a").alias("n_shingles"), F.col("b").alias("d1"), F.col("c").alias("d2"))
     own = sig.where("doc_id is not null and n_shingles > 0")
-    exploded = own.select("doc_id", F.explode("keys").alias("key"))
-    shared = exploded.groupBy("key").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo < hi").select("key", "lo")
-    shared = materialise(shared, "join-keys")
-    near = exploded.join(shared, "key").groupBy("doc_id", "lo").agg(F.count("*").alias("n"))
-    near = materialise(near, "join-near")
+    far = signed.where("kind = 2").select("a", "blob").groupBy("a").applyInArrow(_pairs_of_bucket, "doc_id long, lo long, n long")
+    near = signed.where("kind = 1").select("doc_id", F.col("a").alias("lo"), F.col("b").alias("n")).unionByName(far)
+    near = materialise(near.groupBy("doc_id", "lo").agg(F.sum("n").alias("n")), "join-near")
     cluster = connected_components(near.select(F.col("doc_id").alias("u"), F.col("lo").alias("v")))
-    degree = near.groupBy("doc_id").agg(F.sum("n").alias("degree"))
+    degree = near.select("doc_id", "n").unionByName(near.select(F.col("lo").alias("doc_id"), "n")).groupBy("doc_id").agg(F.sum("n").alias("degree"))
     members = materialise(
         own.select("doc_id", "d1", "d2")
         .join(cluster.select(F.col("node").alias("doc_id"), F.col("component").alias("cluster")), "doc_id")
@@ -321,5 +360,5 @@ def op8_signature_tree_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 def keep_first_of_component(docs: DataFrame, words: int = 5, percent: int = 80) -> DataFrame:
     """Documents whose id is the smallest of its component (repeated rows of an id: one stays)."""
     found = signature_tree_join(docs, words, percent).where("component_id is null or component_id = doc_id")
-    ids = found.select("doc_id").distinct()
-    return docs.join(ids, docs["doc_id"].eqNullSafe(ids["doc_id"]), "left_semi")
+    ids = materialise(found.select("doc_id").distinct(), "join-first")
+    return docs.join(maybe_broadcast(ids, ids.count()), docs["doc_id"].eqNullSafe(ids["doc_id"]), "left_semi")

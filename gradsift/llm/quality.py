@@ -191,5 +191,5 @@ def op4_robust_outliers(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def keep_good(docs: DataFrame) -> DataFrame:
     """Documents whose verdict is to keep them; repeated rows of an id share the verdict of any kept one."""
-    ids = quality_verdicts(docs).where("kept").select("doc_id").distinct()
-    return docs.join(ids, docs["doc_id"].eqNullSafe(ids["doc_id"]), "left_semi")
+    ids = materialise(quality_verdicts(docs).where("kept").select("doc_id").distinct(), "quality-kept")
+    return docs.join(maybe_broadcast(ids, ids.count()), docs["doc_id"].eqNullSafe(ids["doc_id"]), "left_semi")
