@@ -8,11 +8,12 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from gradsift.operators.hashing import HashFamily
 
 
-@F.pandas_udf("float")
+@F.pandas_udf(T.FloatType())
 def to_half(x: pd.Series) -> pd.Series:
     """Value after a round trip through IEEE half precision."""
     with np.errstate(over="ignore"):
@@ -22,7 +23,7 @@ def to_half(x: pd.Series) -> pd.Series:
 def sketch_agg(fam: HashFamily):
     """Grouped aggregate: packed sketch (row after row) of a group's updates."""
 
-    @F.pandas_udf("array<double>")
+    @F.pandas_udf(T.ArrayType(T.DoubleType()))
     def run(coord: pd.Series, delta: pd.Series) -> list:
         bucket, sign = fam.numpy(coord.to_numpy())
         rows = [np.bincount(b, weights=s * delta.to_numpy(), minlength=fam.cols) for b, s in zip(bucket, sign, strict=True)]
