@@ -66,3 +66,8 @@ def curvature(examples: DataFrame, d: int, l2: float) -> tuple[float, float]:
         m[r.i, r.coord] += r.s / n
     e = np.linalg.eigvalsh(m)
     return float(e[-1]), float(e[0])
+
+
+def iters_to(metrics: list[tuple[int, str, float]], target: float, name: str = "loss") -> int | None:
+    """First step at which a measure falls to the target, or None."""
+    return next((t for t, n, v in sorted(metrics) if n == name and v <= target), None)

@@ -166,3 +166,24 @@ def bleu_pairs(spark, d):
     pairs = docs.withColumn("ref", F.lag("head").over(w)).where("ref is not null")
     pairs = pairs.select(F.col("doc_id").alias("pair_id"), F.split("head", " ").alias("candidate"), F.split("ref", " ").alias("reference"))
     return corpus_bleu(pairs)
+
+
+@query("rounds_table", "SELECT * FROM (VALUES ('dense', 1), ('true_top_k', 1), ('local_top_k', 1), ('sketch_no_refetch', 1), ('sketch', 2), ('random_candidates', 2), ('annealed', 2)) AS t(method, rounds)")
+def rounds_table(spark, d):
+    names = ["dense", "true_top_k", "local_top_k", "sketch_no_refetch", "sketch", "random_candidates", "annealed"]
+    return spark.createDataFrame([(n, C.rounds(n)) for n in names], "method string, rounds int")
+
+
+@query("size_table", "SELECT k, d, t AS steps, CAST(r + 1 - r % 2 AS INTEGER) AS r, 4 * k AS c FROM (SELECT k, d, t, CAST(ceil(ln(d * t / 0.01::DOUBLE)) AS BIGINT) AS r FROM (VALUES (100, 1000000::BIGINT), (1000, 90000000::BIGINT)) AS a(k, d) CROSS JOIN (VALUES (1), (1000)) AS b(t))")
+def size_table(spark, d):
+    """Rows and columns for top-k recovery with failure probability 0.01."""
+    from gradsift.operators.sketch import size_for
+
+    rows = [(k, n, t, *size_for(k, n, 0.01, t)) for k, n in ((100, 1_000_000), (1000, 90_000_000)) for t in (1, 1000)]
+    return spark.createDataFrame(rows, "k int, d long, steps int, r int, c int")
+
+
+@query("index_cost_table", f"SELECT method, r * c + P * k + k + (P * k + k) * CAST(ceil(log2(d)) AS BIGINT) / 32.0::DOUBLE AS numbers FROM {GRID_SQL}")
+def index_cost_table(spark, d):
+    """Costs with the names of requested and updated coordinates counted too."""
+    return spark.createDataFrame([(m, float(C.comm_sketch(r, c, p, k, d=n, include_indices=True))) for m, n, r, c, p, k, _ in GRID], "method string, numbers double")

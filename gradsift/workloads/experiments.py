@@ -114,6 +114,14 @@ def w1_methods_char_model(spark, d):
     return sweep(spark, char_data(spark, d), {"kind": "softmax", "args": [1024, 32]}, [BASE | {"steps": 20, "etas": (0.3, 1.0)} | x for x in s])
 
 
+@query("w2_hidden_layer_char_model")
+def w2_hidden_layer_char_model(spark, d):
+    """The same text with a hidden layer: dense, true top-k, and a sketch at 40 times with large P."""
+    n, k = 1024 * 8 + 8 + 8 * 32 + 32, 20
+    s = [{"name": "dense", "method": "dense"}, {"name": "true_top_k", "method": "true_top_k", "k": k}, {"name": "sketch_40x_p12", "method": "sketch", "k": k, "p": 12, "rows": 5, "cols": cols_for(n, k, 12, 40)}]
+    return sweep(spark, char_data(spark, d), {"kind": "mlp", "args": [1024, 8, 32]}, [BASE | {"steps": 20, "etas": (0.1, 0.3)} | x for x in s])
+
+
 @query("w3_true_top_k_sweep")
 def w3_true_top_k_sweep(spark, d):
     """k from d/100 to d, with and without masking the velocity (at k = d masking removes momentum)."""

@@ -378,3 +378,18 @@ def sql_point_query(spark, d):
       SELECT x AS coord, median(CAST(sign * coalesce(cell, 0) AS DOUBLE)) AS est
       FROM (SELECT x, row, CAST({poly('b')} % {FAM.cols} AS INT) AS bucket, 1 - 2 * ({poly('s')} % 2) AS sign
             FROM (SELECT id AS x FROM range(10)) CROSS JOIN hashes) a LEFT JOIN cells USING (row, bucket) GROUP BY x""")
+
+
+@query(
+    "merge_records_per_worker",
+    f"SELECT W, max(n) AS most, {FAM.rows * FAM.cols} AS cap FROM ("
+    + " UNION ALL ".join(f"SELECT {w} AS W, worker, count(*) AS n FROM ({cells_sql(X.f1(w), 'worker, ')}) GROUP BY worker" for w in (1, 4, 16, 64))
+    + ") GROUP BY W",
+)
+def merge_records_per_worker(spark, d):
+    """Records that a worker ships to the merge, for several numbers of workers, against rows * cols."""
+    out = []
+    for w in (1, 4, 16, 64):
+        own = S.sketch(X.signed_part_revenue(spark, d, w), FAM, by=["worker"]).groupBy("worker").agg(F.count("*").alias("n"))
+        out.append(own.agg(F.max("n").alias("most")).select(F.lit(w).alias("W"), "most", F.lit(FAM.rows * FAM.cols).alias("cap")))
+    return reduce(lambda a, b: a.unionByName(b), out)
