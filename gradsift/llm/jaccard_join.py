@@ -35,6 +35,8 @@ BLOCK = 256
 FANOUT = 8
 #: Parts into which the rows of one key are dealt where a key may be very frequent.
 SALTS = 32
+#: Leaders of large clusters, and bytes of one's set, up to which they are broadcast (64 MB in all).
+LEADERS, LEADER_BYTES = 200, 320_000
 
 
 class Bands:
@@ -320,8 +322,11 @@ def _large(sets: DataFrame, within, percent: int, block: int) -> list[DataFrame]
         sets.groupBy("cluster").agg(F.max(F.struct("degree", (-F.col("doc_id")).alias("d"))).alias("x")).select("cluster", (-F.col("x.d")).alias("doc_id")), "join-lead"
     )
     lead = sets.join(leader, ["cluster", "doc_id"]).select("cluster", F.col("doc_id").alias("lead"), F.col("shingles").alias("lead_set"))
-    lead = lead.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
-    rows = sets.withColumn("salt", F.pmod(F.xxhash64("doc_id"), F.lit(SALTS)).cast("int")).join(lead, ["cluster", "salt"])
+    if leader.count() <= LEADERS and (lead.agg(F.max(F.octet_length("lead_set"))).first()[0] or 0) <= LEADER_BYTES:
+        rows = sets.join(F.broadcast(lead), "cluster")  # bounded by LEADERS * LEADER_BYTES
+    else:
+        lead = lead.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+        rows = sets.withColumn("salt", F.pmod(F.xxhash64("doc_id"), F.lit(SALTS)).cast("int")).join(lead, ["cluster", "salt"])
 
     def attach(frames):
         for pdf in frames:
@@ -338,7 +343,7 @@ def _large(sets: DataFrame, within, percent: int, block: int) -> list[DataFrame]
     counts = rows.groupBy("cluster", "alone", "band").agg(F.count("*").alias("c"))
     counts = materialise(counts.select("cluster", "alone", "band", F.ceil(F.col("c") / F.lit(block // 2)).alias("cuts")), "join-cuts")
     placed = rows.join(F.broadcast(counts) if counts.count() <= 100_000 else counts, ["cluster", "alone", "band"])
-    placed = materialise(placed.withColumn("cut", F.pmod(F.xxhash64("doc_id"), F.col("cuts"))).drop("cuts", "texts", "lead", "n"), "join-placed")
+    placed = placed.withColumn("cut", F.pmod(F.xxhash64("doc_id"), F.col("cuts"))).drop("cuts", "texts", "lead", "n")
     one = counts.select("cluster", "alone", "band", F.explode(F.sequence(F.lit(0).cast("long"), F.col("cuts") - 1)).alias("cut"))
     one = one.withColumn("at", F.struct("alone", "band", "cut"))
     pairs = (
