@@ -65,9 +65,11 @@ def records(pages: DataFrame) -> DataFrame:
 
 
 def write_archives(pages: DataFrame, path: str, file_bytes: int = FILE_BYTES) -> None:
-    total = pages.agg(F.sum(F.octet_length("html") + 400)).first()[0] or 0
-    rows = records(pages).repartition(max(1, -(-total // file_bytes)), F.xxhash64("page_id"))
-    rows.select("value").write.option("lineSep", "\r\n\r\n").option("compression", "none").text(path)
+    """Files of about ``file_bytes`` or less, written where the join left the records."""
+    n, total = pages.agg(F.count("*"), F.sum(F.coalesce(F.octet_length("html"), F.lit(0)) + 400)).first()
+    most = max(1, file_bytes * n // max(total or 0, 1))
+    out = records(pages).select("value").write.option("maxRecordsPerFile", most)
+    out.option("lineSep", "\r\n\r\n").option("compression", "none").text(path)
 
 
 def _number(header: dict[bytes, bytes], name: bytes) -> int | None:
