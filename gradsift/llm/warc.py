@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gradsift.llm.common import fresh_path, table
+from gradsift.llm.common import fresh_path, materialise, table
 
 # Version line and header names of the format.
 MAGIC = b"WARC/1.1\r\n"
@@ -30,6 +30,8 @@ FILE_BYTES = 16 << 20
 #: Payloads below this are always written in full.
 REVISIT_BYTES = 1000
 SALTS = 16
+#: Repeated payloads whose digests are broadcast at most; beyond it the records are shuffled.
+REPEATED = 200_000
 HEADER = re.compile(rb"^([A-Za-z-]+):[ \t]*(.*)$")
 CANDIDATE = "path string, size long, at long, next long, page_id long, payload_bytes long, payload_digest string, record_type string, refers_to long, uri string, payload binary"
 
@@ -43,8 +45,12 @@ def records(pages: DataFrame) -> DataFrame:
     )
     p = p.withColumn("size", F.octet_length("payload").cast("long")).withColumn("digest", F.sha1(F.col("payload").cast("binary")))
     again = p.where(F.col("size") >= REVISIT_BYTES).groupBy("digest").agg(F.max("page_id").alias("first_id"), F.count("*").alias("c")).where("c > 1").drop("c")
-    again = again.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
-    p = p.withColumn("salt", F.pmod(F.xxhash64("page_id"), F.lit(SALTS)).cast("int")).join(again, ["digest", "salt"], "left")
+    again = materialise(again, "warc-again")
+    if again.count() <= REPEATED:
+        p = p.join(F.broadcast(again), "digest", "left")
+    else:
+        again = again.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+        p = p.withColumn("salt", F.pmod(F.xxhash64("page_id"), F.lit(SALTS)).cast("int")).join(again, ["digest", "salt"], "left")
     revisit = F.col("first_id").isNotNull() & ~F.col("first_id").eqNullSafe(F.col("page_id"))
     urn = lambda c: F.concat(F.lit("<urn:page:"), F.coalesce(c.cast("string"), F.lit("none")), F.lit(">"))
     line = lambda name, c: F.concat(F.lit(f"{name}: "), c, F.lit("\r\n"))
