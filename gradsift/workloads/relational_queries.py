@@ -4,6 +4,8 @@ from __future__ import annotations
 
 from functools import reduce
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
@@ -24,22 +26,30 @@ def scan_counts(spark, d):
 # text features: odd weights, reduced by the prime field before the bucket
 
 
-def trigram_codes(text, buckets: int):
-    """Array of hashed character trigrams of a lower-cased text."""
-    points = F.transform(F.split(text, ""), lambda c: F.ascii(c).cast("long"))
-    code = lambda p, i: ((F.element_at(p, i) * 961 + F.element_at(p, i + 1) * 31 + F.element_at(p, i + 2)) * 7919 % 2147483647) % buckets
-    return F.when(F.length(text) >= 3, F.transform(F.sequence(F.lit(1), F.length(text) - 2), lambda i: code(points, i))).otherwise(F.array().cast("array<bigint>"))
+TRIGRAM_SQL = """SELECT doc_id, CAST((unicode(substr(t, i, 1)) * 961 + unicode(substr(t, i + 1, 1)) * 31 + unicode(substr(t, i + 2, 1))) * 7919 % 2147483647 % 16384 AS BIGINT) AS coord
+ FROM (SELECT doc_id, t, unnest(range(1, length(t) - 1)) AS i FROM (SELECT doc_id, lower(text) AS t FROM documents))"""
 
 
-HEAD = 120
-TRIGRAM_SQL = f"""SELECT doc_id, CAST((unicode(substr(t, i, 1)) * 961 + unicode(substr(t, i + 1, 1)) * 31 + unicode(substr(t, i + 2, 1))) * 7919 % 2147483647 % 16384 AS BIGINT) AS coord
- FROM (SELECT doc_id, t, unnest(range(1, length(t) - 1)) AS i FROM (SELECT doc_id, substr(lower(text), 1, {HEAD}) AS t FROM documents))"""
+def document_trigrams(spark, d, buckets: int = 16384):
+    """doc_id, coord and n as arrays: hashed character trigrams of the whole lower-cased text, counted inside their row (doc_id is unique); texts below three characters have none."""
+
+    def run(batches):
+        for b in batches:
+            coords, counts = [], []
+            for t in b.column("t").to_pylist():
+                p = np.frombuffer((t or "").encode("utf-32-le"), "<u4").astype(np.int64)
+                c, n = np.unique((p[:-2] * 961 + p[1:-1] * 31 + p[2:]) * 7919 % 2147483647 % 16384 % buckets, return_counts=True)
+                coords.append(c), counts.append(n)
+            many = pa.list_(pa.int64())
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(coords, many), pa.array(counts, many)], ["doc_id", "coord", "n"])
+
+    docs = load_table(spark, d, "documents").select(F.col("doc_id").cast("long").alias("doc_id"), F.lower("text").alias("t"))
+    return docs.mapInArrow(run, "doc_id long, coord array<long>, n array<long>")
 
 
 @query("char_trigrams", f"SELECT doc_id, coord, count(*) AS n FROM ({TRIGRAM_SQL}) GROUP BY doc_id, coord")
 def char_trigrams(spark, d):
-    t = load_table(spark, d, "documents").select("doc_id", F.substring(F.lower("text"), 1, HEAD).alias("t"))
-    return t.select("doc_id", F.explode(trigram_codes(F.col("t"), 16384)).alias("coord")).groupBy("doc_id", "coord").agg(F.count("*").alias("n"))
+    return document_trigrams(spark, d).select("doc_id", F.inline(F.arrays_zip("coord", "n")))
 
 
 @query("ngram_counts", f"SELECT coord, count(*) AS n FROM ({TRIGRAM_SQL}) GROUP BY coord")

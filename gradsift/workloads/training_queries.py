@@ -11,7 +11,7 @@ from gradsift.operators.hashing import HashFamily
 from gradsift.sources.tables import load_table
 from gradsift.workloads import fixtures as X
 from gradsift.workloads.registry import query
-from gradsift.workloads.relational_queries import TRIGRAM_SQL, char_trigrams
+from gradsift.workloads.relational_queries import TRIGRAM_SQL, document_trigrams
 
 D, K, P, W, L2, XI = X.DIM, 3, 2, 4, 0.01, 10.0
 ETA, M, LOCAL_K = 0.05, 0.9, 2
@@ -63,12 +63,12 @@ LANGS = ["de", "en", "es", "fr"]
 
 
 def language_examples(spark, d, buckets: int = 256, workers: int = 4):
-    """Language of a document from normalised counts of hashed trigrams of its beginning."""
-    t = char_trigrams(spark, d).select("doc_id", (F.col("coord") % buckets).alias("coord"), "n").groupBy("doc_id", "coord").agg(F.sum("n").alias("n"))
+    """Language of a document from normalised counts of the hashed trigrams of its whole text."""
+    total = F.aggregate("n", F.lit(0).cast("long"), lambda a, b: a + b)
+    t = document_trigrams(spark, d, buckets).where(F.size("n") > 0).withColumn("total", total)
+    x = t.select("doc_id", F.zip_with("coord", "n", lambda c, n: F.struct(c.alias("coord"), (n / F.col("total") * 10).alias("val"))).alias("x"))
     docs = load_table(spark, d, "documents").select("doc_id", "lang").where(F.col("lang").isin(LANGS))
     y = sum((F.when(F.col("lang") == x, i).otherwise(0) for i, x in enumerate(LANGS)), F.lit(0))
-    total = t.groupBy("doc_id").agg(F.sum("n").alias("total"))
-    x = t.join(total, "doc_id").groupBy("doc_id").agg(F.collect_list(F.struct("coord", (F.col("n") / F.col("total") * 10).alias("val"))).alias("x"))
     return docs.join(x, "doc_id").select(F.col("doc_id").alias("ex_id"), (F.col("doc_id") % workers).cast("int").alias("worker"), y.alias("y"), "x")
 
 
