@@ -2,7 +2,10 @@
 
 from __future__ import annotations
 
+from collections import Counter
+
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -11,20 +14,22 @@ def accuracy(pred: DataFrame, truth: str = "y", guess: str = "pred") -> DataFram
     return pred.agg(F.avg(F.when(F.col(truth) == F.col(guess), 1.0).otherwise(0.0)).alias("accuracy"))
 
 
-def ngrams(tokens, n: int):
-    """Array of n-grams (joined by a space) of an array column."""
-    return F.when(
-        F.size(tokens) >= n, F.transform(F.sequence(F.lit(1), F.size(tokens) - (n - 1)), lambda i: F.array_join(F.slice(tokens, i, n), " "))
-    ).otherwise(F.array().cast("array<string>"))
-
-
 def bleu_pieces(pairs: DataFrame, max_n: int = 4) -> DataFrame:
-    """n, matched, total of pairs(pair_id, candidate, reference) of token arrays; counts are clipped."""
-    long = pairs.select("pair_id", F.inline(F.array(*(F.struct(F.lit(n).alias("n"), ngrams(F.col("candidate"), n).alias("c"), ngrams(F.col("reference"), n).alias("r")) for n in range(1, max_n + 1)))))
-    c = long.select("pair_id", "n", F.explode("c").alias("g")).groupBy("pair_id", "n", "g").agg(F.count("*").alias("c"))
-    r = long.select("pair_id", "n", F.explode("r").alias("g")).groupBy("pair_id", "n", "g").agg(F.count("*").alias("r"))
-    both = c.join(r, ["pair_id", "n", "g"], "left")
-    return both.groupBy("n").agg(F.sum(F.least("c", F.coalesce("r", F.lit(0)))).alias("matched"), F.sum("c").alias("total"))
+    """n, matched, total of pairs(pair_id, candidate, reference) of token arrays; counts are clipped, inside the row of the pair."""
+
+    def run(batches):
+        total, matched = Counter(), Counter()
+        for b in batches:
+            for c, r in zip(b.column("candidate").to_pylist(), b.column("reference").to_pylist(), strict=True):
+                for n in range(1, max_n + 1):
+                    have, want = (Counter(" ".join(s[i : i + n]) for i in range(len(s or []) - n + 1)) for s in (c, r))
+                    total[n] += have.total()
+                    matched[n] += (have & want).total()
+        rows = [(n, matched[n], x) for n, x in sorted(total.items()) if x]
+        yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], t) for i, t in enumerate((pa.int32(), pa.int64(), pa.int64()))], ["n", "matched", "total"])
+
+    pieces = pairs.select("candidate", "reference").mapInArrow(run, "n int, matched long, total long")
+    return pieces.groupBy("n").agg(F.sum("matched").alias("matched"), F.sum("total").alias("total"))
 
 
 def corpus_bleu(pairs: DataFrame, max_n: int = 4) -> DataFrame:

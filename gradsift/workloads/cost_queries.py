@@ -133,9 +133,9 @@ def min_offset_table(spark, d):
     return spark.createDataFrame(rows, "d double, k double, beta double, offset_ double")
 
 
-PAIRS = """SELECT a.doc_id AS pair_id, string_split(a.head, ' ') AS candidate, string_split(b.head, ' ') AS reference
- FROM (SELECT doc_id, lang, substr(text, 1, 200) AS head, substr(text, 1, 40) AS k, row_number() OVER (PARTITION BY lang, substr(text, 1, 40) ORDER BY doc_id) AS n FROM documents) a
- JOIN (SELECT lang, substr(text, 1, 200) AS head, substr(text, 1, 40) AS k, row_number() OVER (PARTITION BY lang, substr(text, 1, 40) ORDER BY doc_id) AS n FROM documents) b
+PAIRS = """SELECT a.doc_id AS pair_id, string_split(a.text, ' ') AS candidate, string_split(b.text, ' ') AS reference
+ FROM (SELECT doc_id, lang, text, substr(text, 1, 40) AS k, row_number() OVER (PARTITION BY lang, substr(text, 1, 40) ORDER BY doc_id) AS n FROM documents) a
+ JOIN (SELECT lang, text, substr(text, 1, 40) AS k, row_number() OVER (PARTITION BY lang, substr(text, 1, 40) ORDER BY doc_id) AS n FROM documents) b
  ON a.lang = b.lang AND a.k = b.k AND b.n = a.n - 1"""
 
 
@@ -158,13 +158,13 @@ SELECT n, matched, total, round(CASE WHEN l.c >= l.r THEN 1.0 ELSE exp(1 - l.r /
 
 @query("bleu_pairs", BLEU_SQL)
 def bleu_pairs(spark, d):
-    """Corpus BLEU of document copies, paired by language and opening, first 200 characters."""
+    """Corpus BLEU of the whole texts of document copies, paired by language and the first 40 characters."""
     from pyspark.sql import Window
 
-    docs = load_table(spark, d, "documents").select("doc_id", "lang", F.substring("text", 1, 200).alias("head"), F.substring("text", 1, 40).alias("k"))
+    docs = load_table(spark, d, "documents").select("doc_id", "lang", "text", F.substring("text", 1, 40).alias("k"))
     w = Window.partitionBy("lang", "k").orderBy("doc_id")
-    pairs = docs.withColumn("ref", F.lag("head").over(w)).where("ref is not null")
-    pairs = pairs.select(F.col("doc_id").alias("pair_id"), F.split("head", " ").alias("candidate"), F.split("ref", " ").alias("reference"))
+    pairs = docs.withColumn("ref", F.lag("text").over(w)).where("ref is not null")
+    pairs = pairs.select(F.col("doc_id").alias("pair_id"), F.split("text", " ").alias("candidate"), F.split("ref", " ").alias("reference"))
     return corpus_bleu(pairs)
 
 

@@ -4,6 +4,7 @@ from collections import Counter
 
 import pytest
 
+from gradsift.workloads import cost_queries as C
 from gradsift.workloads import relational_queries as Q
 from gradsift.workloads import training_queries as TQ
 
@@ -42,3 +43,15 @@ def test_language_examples_of_whole_texts(spark, folder):
     for i, x in got.items():
         size = sum(n for (j, _), n in want.items() if j == i)
         assert x == pytest.approx({c: n / size * 10 for (j, c), n in want.items() if j == i})
+
+
+def test_bleu_of_whole_texts(spark, tmp_path):
+    start = "the same opening of both texts " * 8
+    a, b = start + "and then one end of it", start + "and then another quite different end"
+    spark.createDataFrame([(1, a, "en"), (2, b, "en"), (3, a, "de")], "doc_id long, text string, lang string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {r.n: r for r in C.bleu_pairs(spark, str(tmp_path)).collect()}
+    ref, cand = a.split(" "), b.split(" ")
+    for n in range(1, 5):
+        have, want = (Counter(tuple(s[i : i + n]) for i in range(len(s) - n + 1)) for s in (cand, ref))
+        assert (got[n].total, got[n].matched) == (have.total(), (have & want).total())
+    assert got[1].total == len(cand) and got[1].score < 100
