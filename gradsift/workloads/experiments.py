@@ -11,8 +11,10 @@ import json
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import functions as F
 
+from gradsift.operators import recover as R
 from gradsift.operators import simulate as SIM
 from gradsift.plans.bounds import min_offset
 from gradsift.sources.tables import load_table
@@ -46,29 +48,58 @@ def language_data(spark, d, features: int = 512):
     return x * 4, y
 
 
-def char_data(spark, d, buckets: int = 1024, letters: int = 32):
-    """Next character from the three before it (hashed, one-hot), German openings, at most ``MOST`` places."""
-    docs = load_table(spark, d, "documents").where("lang = 'de'").orderBy(F.xxhash64("doc_id"), "doc_id").limit(200).select(F.substring(F.lower("text"), 1, 80).alias("t")).toPandas()
-    ctx, y = [], []
-    for t in docs["t"].fillna(""):
-        p = np.array([ord(c) for c in t], np.int64)
-        if len(p) > 3:
-            ctx.append((p[:-3] * 961 + p[1:-2] * 31 + p[2:-1]) * 7919 % 2147483647 % buckets)
-            y.append(p[3:] % letters)
-    ctx, y = np.concatenate(ctx)[:MOST], np.concatenate(y)[:MOST]
-    x = np.zeros((len(y), buckets))
-    x[np.arange(len(y)), ctx] = 4.0
-    return x, y
+def char_data(spark, d, buckets: int = 1 << 14, workers: int = 4):
+    """Next character from the three before it (hashed): counts (worker, context, letter) over all places of all German texts, and those of held-out documents.
+
+    A letter of the training texts is a class of its own; the last class is kept for letters that only held-out texts have.
+    """
+
+    def counted(keys):
+        flat, n = np.unique(np.concatenate(keys), return_counts=True)
+        return pa.RecordBatch.from_arrays([pa.array(flat), pa.array(n)], ["key", "n"])
+
+    def run(batches):
+        for b in batches:
+            keys, size = [np.zeros(0, np.int64)], 0
+            for i, t, test in zip(*(b.column(c).to_pylist() for c in ("doc_id", "t", "test")), strict=True):
+                p = np.frombuffer((t or "").encode("utf-32-le"), "<u4").astype(np.int64)
+                ctx = (p[:-3] * 961 + p[1:-2] * 31 + p[2:-1]) * 7919 % 2147483647 % buckets
+                keys.append(((int(test) * workers + i % workers) * buckets + ctx) * 0x110000 + p[3:])
+                size += len(ctx)
+                if size > 1 << 20:
+                    yield counted(keys)
+                    keys, size = keys[:1], 0
+            yield counted(keys)
+
+    test = R.shuffle_key(F.col("doc_id"), 1) % 10 < 2
+    docs = load_table(spark, d, "documents").where("lang = 'de'").select(F.col("doc_id").cast("long").alias("doc_id"), F.lower("text").alias("t"), test.alias("test"))
+    rows = docs.mapInArrow(run, "key long, n long").groupBy("key").agg(F.sum("n").alias("n")).toPandas()  # contexts x letters, not places
+    key, n = rows["key"].to_numpy(np.int64), rows["n"].to_numpy(np.int64)
+    point, ctx, worker, held = key % 0x110000, key // 0x110000 % buckets, key // 0x110000 // buckets % workers, key // 0x110000 // buckets // workers
+    known = np.unique(point[held == 0])
+    letters = max(64, len(known) + 1)
+    place = np.searchsorted(known, point)
+    y = np.where(np.isin(point, known), place, letters - 1)
+    out = []
+    for part in (0, 1):
+        x = np.zeros((workers, buckets, letters), np.int64)
+        own = held == part
+        np.add.at(x, (worker[own], ctx[own], y[own]), n[own])
+        out.append((x if part == 0 else x.sum(0, keepdims=True), np.zeros(workers if part == 0 else 1, int)))
+    return tuple(out)
 
 
 def sweep(spark, data, model: dict, settings: list[dict]):
     """Runs every setting on ``SEEDS`` seeds with its best step size; tasks are runs, not rows."""
     x, y = data
-    if x.size > SIM.MAX_VALUES:
+    if isinstance(x, tuple):  # split already
+        train, test = x, y
+    else:
+        cut = int(len(y) * 0.8)
+        train, test = (x[:cut], y[:cut]), (x[cut:], y[cut:])
+    if train[0].size + test[0].size > SIM.MAX_VALUES:
         raise ValueError("training set too large for a sweep")
-    cut = int(len(y) * 0.8)
-    train, test = (x[:cut], y[:cut]), (x[cut:], y[cut:])
-    kinds = {"softmax": SIM.Softmax, "mlp": SIM.Mlp, "ridge": SIM.Ridge}
+    kinds = {"softmax": SIM.Softmax, "mlp": SIM.Mlp, "ridge": SIM.Ridge, "context_softmax": SIM.ContextSoftmax, "context_mlp": SIM.ContextMlp}
 
     def run(frames):
         build = lambda: kinds[model["kind"]](*model["args"])
@@ -105,21 +136,23 @@ def cols_for(d: int, k: int, p: int, factor: float, rows: int = 5) -> int:
 
 @query("w1_methods_char_model")
 def w1_methods_char_model(spark, d):
-    """Next-character model: dense, true top-k, sketches at 20 and 40 times with two splits."""
-    n, k = 1025 * 32, 60
+    """Next-character model on all German texts: dense, true top-k, sketches at 20 and 40 times with two splits each."""
+    data, k = char_data(spark, d), 1000
+    _, f, c = data[0][0].shape
     s = [{"name": "dense", "method": "dense"}, {"name": "true_top_k", "method": "true_top_k", "k": k}]
-    for factor in (20, 40):
-        for p in (4, 12):
-            s.append({"name": f"sketch_{factor}x_p{p}", "method": "sketch", "k": k, "p": p, "rows": 5, "cols": cols_for(n, k, p, factor)})
-    return sweep(spark, char_data(spark, d), {"kind": "softmax", "args": [1024, 32]}, [BASE | {"steps": 20, "etas": (0.3, 1.0)} | x for x in s])
+    for factor, p, rows in ((20, 16, 5), (20, 36, 5), (40, 16, 15), (40, 26, 5)):
+        s.append({"name": f"sketch_{factor}x_p{p}", "method": "sketch", "k": k, "p": p, "rows": rows, "cols": cols_for((f + 1) * c, k, p, factor, rows)})
+    return sweep(spark, data, {"kind": "context_softmax", "args": [f, c]}, [BASE | {"steps": 20, "etas": (0.3, 1.0)} | x for x in s])
 
 
 @query("w2_hidden_layer_char_model")
 def w2_hidden_layer_char_model(spark, d):
-    """The same text with a hidden layer: dense, true top-k, and a sketch at 40 times with large P."""
-    n, k = 1024 * 8 + 8 + 8 * 32 + 32, 20
+    """The same texts with a hidden layer: dense, true top-k, and a sketch at 40 times with large P."""
+    data = char_data(spark, d)
+    _, f, c = data[0][0].shape
+    n, k = f * 8 + 8 + 8 * c + c, 80
     s = [{"name": "dense", "method": "dense"}, {"name": "true_top_k", "method": "true_top_k", "k": k}, {"name": "sketch_40x_p12", "method": "sketch", "k": k, "p": 12, "rows": 5, "cols": cols_for(n, k, 12, 40)}]
-    return sweep(spark, char_data(spark, d), {"kind": "mlp", "args": [1024, 8, 32]}, [BASE | {"steps": 20, "etas": (0.1, 0.3)} | x for x in s])
+    return sweep(spark, data, {"kind": "context_mlp", "args": [f, 8, c]}, [BASE | {"steps": 20, "etas": (0.1, 0.3)} | x for x in s])
 
 
 @query("w3_true_top_k_sweep")
