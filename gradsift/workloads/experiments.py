@@ -20,32 +20,44 @@ from gradsift.plans.bounds import min_offset
 from gradsift.sources.tables import load_table
 from gradsift.workloads import fixtures as X
 from gradsift.workloads.registry import query
+from gradsift.workloads.relational_queries import document_trigrams
 
 SEEDS, ETAS = 5, (0.03, 0.1, 0.3, 1.0)
-MOST = 4000
 RESULT = "name string, method string, W int, k int, P int, r int, c int, eta double, seeds int, train_loss double, train_loss_sd double, accuracy double, accuracy_sd double, updated double, numbers double, factor double"
 
 
+def bounded(rows, width: int):
+    """All rows of a training set of ``width`` numbers each, on the driver; refuses, before it collects, what exceeds ``SIM.MAX_VALUES``."""
+    n = rows.count()
+    if n * width > SIM.MAX_VALUES:
+        raise ValueError(f"training set too large for a sweep: {n} rows of {width} numbers, at most {SIM.MAX_VALUES} numbers")
+    return rows.toPandas()
+
+
 def teacher_data(spark, d):
-    """Unit vectors labelled by the largest of ten seeded directions; at most ``MOST`` rows, by id order of a hash."""
-    rows = load_table(spark, d, "embeddings").orderBy(F.xxhash64("vec_id"), "vec_id").limit(MOST).select("vec_id", "embedding").toPandas()
+    """Unit vectors labelled by the largest of ten seeded directions; all rows, by id order of a hash."""
+    rows = bounded(load_table(spark, d, "embeddings").orderBy(F.xxhash64("vec_id"), "vec_id").select("vec_id", "embedding"), 64)
     x = np.stack(rows["embedding"].to_numpy()).astype(float) * 8
     y = (x @ np.random.default_rng(7).normal(size=(64, 10))).argmax(1)
     return x, y
 
 
 def language_data(spark, d, features: int = 512):
-    """Normalised hashed trigram counts of document openings and the language, at most ``MOST`` rows."""
-    docs = load_table(spark, d, "documents").orderBy(F.xxhash64("doc_id"), "doc_id").limit(MOST).select("lang", F.substring(F.lower("text"), 1, 400).alias("t")).toPandas()
-    x, y = np.zeros((len(docs), features)), np.zeros(len(docs), int)
-    names = sorted(set(docs["lang"].fillna("")))
-    for i, (lang, t) in enumerate(zip(docs["lang"].fillna(""), docs["t"].fillna(""), strict=True)):
-        p = np.array([ord(c) for c in t], np.int64)
-        if len(p) > 2:
-            x[i] = np.bincount((p[:-2] * 961 + p[1:-1] * 31 + p[2:]) * 7919 % 2147483647 % features, minlength=features)
-            x[i] /= np.linalg.norm(x[i])
-        y[i] = names.index(lang)
-    return x * 4, y
+    """Normalised hashed trigram counts of whole texts and the language, all documents."""
+    docs = load_table(spark, d, "documents").select("doc_id", F.coalesce("lang", F.lit("")).alias("lang"))
+    docs = bounded(docs.join(document_trigrams(spark, d, features), "doc_id").orderBy(F.xxhash64("doc_id"), "doc_id"), features)
+    x = np.zeros((len(docs), features))
+    for i, (c, n) in enumerate(zip(docs["coord"], docs["n"], strict=True)):
+        x[i, np.asarray(c, np.int64)] = n
+    x /= np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1)
+    names = sorted(set(docs["lang"]))
+    return x * 4, np.array([names.index(v) for v in docs["lang"]], int)
+
+
+def ridge_data(spark, d):
+    """Features and target of all orders."""
+    rows = bounded(X.order_features(spark, d).orderBy("ex_id"), X.DIM)
+    return rows[[f"x{i}" for i in range(X.DIM)]].to_numpy(), rows["y"].to_numpy()
 
 
 def char_data(spark, d, buckets: int = 1 << 14, workers: int = 4):
@@ -215,8 +227,7 @@ def w9_ablations(spark, d):
 @query("w10_strongly_convex")
 def w10_strongly_convex(spark, d):
     """Annealed trainer on ridge: excess risk against the closed form, by k/d and number of steps."""
-    rows = X.order_features(spark, d).orderBy("ex_id").limit(MOST).toPandas()
-    x, y = rows[[f"x{i}" for i in range(X.DIM)]].to_numpy(), rows["y"].to_numpy()
+    x, y = ridge_data(spark, d)
     l2 = 1.0
     best = np.linalg.solve(x.T @ x / len(y) + l2 * np.eye(X.DIM), x.T @ y / len(y))
     floor = SIM.Ridge(X.DIM, l2).evaluate(best, x, y)[0]
