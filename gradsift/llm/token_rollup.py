@@ -111,10 +111,12 @@ def token_counts(docs: DataFrame, word_path: str, byte_path: str) -> DataFrame:
 
 
 def op6_delta_rollup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Totals of all documents for two tokenizers: estimates inserted, then revised, each batch sent twice."""
+    """Totals of all documents for two tokenizers: estimates inserted, then revised, a third of the documents deleted and inserted again, each batch sent twice."""
     counts = materialise(token_counts(table(spark, sf_dir, "documents"), tokenizer_path("word_bpe_49k.json"), tokenizer_path("byte_bpe_50k.json")), "token-counts")
     ledger = TokenLedger(spark, fresh_path(spark, "token-ledger"))
     for _ in range(2):
         ledger.commit("estimates", inserted(counts.select(*KEYS, F.col("old_tokens").alias("n_tokens"))))
         ledger.commit("exact", revised(counts))
+        ledger.commit("removed", deleted(counts.where("doc_id % 3 = 0")))
+        ledger.commit("restored", inserted(counts.where("doc_id % 3 = 0")))
     return ledger.totals()

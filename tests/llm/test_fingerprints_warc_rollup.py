@@ -120,3 +120,22 @@ def test_token_counts(spark):
     for v, p in names.items():
         library = tokenizers.Tokenizer.from_file(p)
         assert all(got[i, v] == len(library.encode(t or "", add_special_tokens=False).ids) for i, _, _, t in rows)
+
+
+def test_rollup_deletes_and_restores(spark, tmp_path, monkeypatch):
+    rows = [(i, "a" if i % 2 else "b", "en", "v1", 10 + i, i) for i in range(9)]
+    counts = spark.createDataFrame(rows, "doc_id long, source string, lang string, version string, n_tokens long, old_tokens long")
+    monkeypatch.setattr(TR, "table", lambda spark, d, name: counts)
+    monkeypatch.setattr(TR, "token_counts", lambda docs, *paths: docs)
+    monkeypatch.setattr(TR, "materialise", lambda df, name: df)
+    monkeypatch.setattr(TR, "tokenizer_path", lambda name: name)
+    monkeypatch.setattr(TR, "fresh_path", lambda spark, name: f"file://{tmp_path}/ledger")
+    sent = []
+    commit = TR.TokenLedger.commit
+    monkeypatch.setattr(TR.TokenLedger, "commit", lambda self, batch, df: sent.append((batch, commit(self, batch, df))))
+    got = {tuple(r) for r in TR.op6_delta_rollup(spark, "").collect()}
+    assert got == {("a", "en", "v1", 4, 10 * 4 + 1 + 3 + 5 + 7), ("b", "en", "v1", 5, 10 * 5 + 2 + 4 + 6 + 8)}
+    assert [b for b, new in sent if new] == ["estimates", "exact", "removed", "restored"] and len(sent) == 8
+    ledger = TR.TokenLedger(spark, f"file://{tmp_path}/ledger")
+    gone = spark.read.parquet(f"{ledger.root}/{ledger.batches()['removed']}")
+    assert {(r.source, r.n_docs, r.n_tokens) for r in gone.collect()} == {("a", -1, -13), ("b", -2, -26)}
