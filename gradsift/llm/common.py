@@ -2,12 +2,12 @@
 
 Intermediate results that several jobs read are written as Parquet below the session's
 ``spark.checkpoint.dir``, which every executor shares; a lost executor therefore never
-loses them.  A temporary folder is used only if that setting is unset (local tests).
+loses them.  Where that setting is unset they go below the warehouse folder, which is
+shared as well.  ``discard`` removes those that nothing reads any more.
 """
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -15,17 +15,12 @@ from pyspark.sql import functions as F
 
 #: Rows of two or three longs that may be broadcast; beyond it the join is shuffled.
 BROADCAST_ROWS = 1_000_000
-_local_dir: list[str] = []
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """Folder for durable intermediates: the session's checkpoint folder if it names one."""
+    """Folder for durable intermediates: the session's checkpoint folder, else one in the warehouse."""
     base = spark.conf.get("spark.checkpoint.dir", None)
-    if base:
-        return base.rstrip("/")
-    if not _local_dir:
-        _local_dir.append(tempfile.mkdtemp(prefix="gradsift-"))
-    return _local_dir[0]
+    return base.rstrip("/") if base else spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/intermediate"
 
 
 def fresh_path(spark: SparkSession, name: str) -> str:
@@ -37,7 +32,18 @@ def materialise(df: DataFrame, name: str) -> DataFrame:
     spark = df.sparkSession
     path = fresh_path(spark, name)
     df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    found = spark.read.schema(df.schema).parquet(path)
+    found._written_to = path
+    return found
+
+
+def discard(*frames: DataFrame) -> None:
+    """Deletes materialised tables whose readers have all been written themselves."""
+    for df in frames:
+        if path := getattr(df, "_written_to", None):
+            spark = df.sparkSession
+            at = spark._jvm.org.apache.hadoop.fs.Path(path)
+            at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
 
 
 def maybe_broadcast(df: DataFrame, rows: int, limit: int = BROADCAST_ROWS) -> DataFrame:
@@ -49,7 +55,7 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir.rstrip('/')}/{name}.parquet")
 
 
-def connected_components(edges: DataFrame, max_rounds: int = 40) -> DataFrame:
+def connected_components(edges: DataFrame) -> DataFrame:
     """(node, component) for every node of an undirected edge list (u, v); component = smallest node.
 
     Alternating star contraction: every round hangs larger neighbours on the smallest one
@@ -61,25 +67,27 @@ def connected_components(edges: DataFrame, max_rounds: int = 40) -> DataFrame:
         edges.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).where("u > v").distinct(), "cc"
     )
     state = None
-    for _ in range(max_rounds):
+    while True:
         both = e.unionByName(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
         low = materialise(both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("low")), "cc-low")
         big = both.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("low").alias("v"))
         big = materialise(big.where("u > v").distinct(), "cc-big")
-        low = materialise(big.groupBy("u").agg(F.min("v").alias("low")), "cc-low")
-        e = (
-            big.join(low, "u")
+        least = materialise(big.groupBy("u").agg(F.min("v").alias("low")), "cc-low")
+        after = (
+            big.join(least, "u")
             .select(F.explode(F.array(F.struct("v", "low"), F.struct(F.col("u").alias("v"), "low"))).alias("p"))
             .select(F.col("p.v").alias("u"), F.col("p.low").alias("v"))
             .where("u > v")
             .distinct()
         )
-        e = materialise(e, "cc")
+        after = materialise(after, "cc")
+        discard(e, low, big, least)
+        e = after
         now = e.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         if now == state:
             break
         state = now
-    else:
-        raise RuntimeError("components did not settle")
     members = e.groupBy("u").agg(F.min("v").alias("component")).withColumnRenamed("u", "node")
-    return members.unionByName(e.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct())
+    members = materialise(members.unionByName(e.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct()), "components")
+    discard(e)
+    return members
