@@ -91,11 +91,16 @@ def random_k(vector: DataFrame, k: int, seed: int = 0, t: int = 0) -> DataFrame:
     return total.orderBy(shuffle_key(F.col("coord"), seed, t), "coord").limit(k)
 
 
-def local_top_k(vector: DataFrame, k: int) -> DataFrame:
-    """(worker, coord, value): each worker's own k largest."""
-    own = vector.groupBy("worker", "coord").agg(F.sum("delta").alias("value"))
-    w = Window.partitionBy("worker").orderBy(*by_size("value"))
-    return own.withColumn("_n", F.row_number().over(w)).where(F.col("_n") <= k).drop("_n")
+def local_top_k(vector: DataFrame, k: int, salts: int = 16) -> DataFrame:
+    """(worker, coord, value): each worker's own k largest.
+
+    Two levels: the best k of each part of a worker's coordinates, then of those salts * k.
+    """
+    own = vector.groupBy("worker", "coord").agg(F.sum("delta").alias("value")).withColumn("_s", F.col("coord") % salts)
+    for keys in (("worker", "_s"), ("worker",)):
+        w = Window.partitionBy(*keys).orderBy(*by_size("value"))
+        own = own.withColumn("_n", F.row_number().over(w)).where(F.col("_n") <= k).drop("_n")
+    return own.drop("_s")
 
 
 def split_groups(g: DataFrame, groups: DataFrame) -> tuple[DataFrame, DataFrame]:

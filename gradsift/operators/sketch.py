@@ -17,8 +17,8 @@ from pyspark.sql import functions as F
 
 from gradsift.operators.hashing import HashFamily
 
-#: Cells that are packed into one broadcast array at most; larger sketches are joined.
-PACKED_CELLS = 16_000_000
+#: Cells (doubles) that are packed into one broadcast row at most; larger sketches are joined.
+PACKED_CELLS = 8_000_000
 
 
 def validate_deltas(df: DataFrame, field: int, delta: str = "delta") -> DataFrame:
@@ -86,26 +86,50 @@ def subtract(a: DataFrame, b: DataFrame) -> DataFrame:
     return merge(a.unionByName(scale(b, -1)))
 
 
+def packed_rows(cells: DataFrame, fam: HashFamily) -> DataFrame:
+    """(row, cells): one array of all cols for each sketch row, empty buckets zero."""
+    every = cells.sparkSession.range(fam.rows * fam.cols).select(F.expr(f"cast(id div {fam.cols} as int)").alias("row"), F.expr(f"cast(id % {fam.cols} as int)").alias("bucket"))
+    full = every.join(cells.select("row", "bucket", "cell"), ["row", "bucket"], "left").select("row", "bucket", F.coalesce(F.col("cell").cast("double"), F.lit(0.0)).alias("cell"))
+    lists = full.groupBy("row").agg(F.sort_array(F.collect_list(F.struct("bucket", "cell"))).alias("x"))
+    return lists.select("row", F.col("x.cell").alias("cells"))
+
+
+def packed_row(cells: DataFrame, fam: HashFamily) -> DataFrame:
+    """One row with the whole sketch as an array of arrays; its size is fixed by the family and checked."""
+    if fam.rows * fam.cols > PACKED_CELLS:
+        raise ValueError("sketch too large to pack; join on (row, bucket) instead")
+    return packed_rows(cells, fam).agg(F.sort_array(F.collect_list(F.struct("row", "cells"))).alias("x")).select(F.col("x.cells").alias("_table"))
+
+
 def packed(cells: DataFrame, fam: HashFamily) -> np.ndarray:
     """The whole sketch as a rows by cols array on the driver; its size is fixed by the family."""
     if fam.rows * fam.cols > PACKED_CELLS:
         raise ValueError("sketch too large to pack; join on (row, bucket) instead")
     out = np.zeros((fam.rows, fam.cols))
-    for r in cells.select("row", "bucket", "cell").collect():
-        out[r.row, r.bucket] = r.cell
+    rows = packed_rows(cells, fam).toArrow()
+    for r, x in zip(rows.column("row").to_pylist(), rows.column("cells").combine_chunks(), strict=True):
+        out[r] = x.values.to_numpy()
     return out
 
 
 def estimate(cells: DataFrame, fam: HashFamily, coords: DataFrame) -> DataFrame:
     """(coord, est): median over rows of signed cells, for the coordinates given.
 
-    The cells join by broadcast only within the packed size; otherwise both sides are shuffled.
+    Within the packed size the sketch is one broadcast row: each coordinate looks its cells up in a
+    projection, and nothing is shuffled.  A larger sketch joins on (row, bucket).
     """
+    if fam.rows * fam.cols <= PACKED_CELLS:
+        x, r = F.col("coord"), fam.rows
+        signed = [F.get(F.get(F.col("_table"), F.lit(i)), fam.bucket(x, i)) * fam.sign(x, i) for i in range(r)]
+        order = F.sort_array(F.array(*signed))
+        middle = F.get(order, F.lit(r // 2))
+        if r % 2 == 0:
+            middle = (F.get(order, F.lit(r // 2 - 1)) + middle) / 2
+        table = F.broadcast(packed_row(cells, fam))
+        return coords.select("coord").crossJoin(table).select("coord", (middle + F.lit(0.0)).alias("est"))
     asked = coords.select("coord", F.inline(fam.cells_of(F.col("coord"))))
-    side = cells.select("row", "bucket", "cell")
-    side = F.broadcast(side) if fam.rows * fam.cols <= PACKED_CELLS // 16 else side
     value = F.col("sign") * F.coalesce(F.col("cell"), F.lit(0))
-    return asked.join(side, ["row", "bucket"], "left").groupBy("coord").agg(F.median(value.cast("double")).alias("est"))
+    return asked.join(cells.select("row", "bucket", "cell"), ["row", "bucket"], "left").groupBy("coord").agg(F.median(value.cast("double")).alias("est"))
 
 
 def estimate_all(cells: DataFrame, fam: HashFamily, d: int, kernel: str = "sql") -> DataFrame:

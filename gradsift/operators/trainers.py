@@ -17,7 +17,7 @@ from gradsift.operators import recover as R
 from gradsift.operators import sketch as S
 from gradsift.operators.hashing import HashFamily
 from gradsift.plans import cost
-from gradsift.plans.durable import commit, small
+from gradsift.plans.durable import Versions, commit, small
 
 
 def initial_weights(spark, d: int, seed: int = 0, scale: float = 0.0) -> DataFrame:
@@ -54,7 +54,7 @@ def corrected(g: DataFrame, a: DataFrame | None, eta: float) -> DataFrame:
 
 def subtract_update(v: DataFrame, update: DataFrame, workers: DataFrame) -> DataFrame:
     """Residual of every worker after the common update; also where the worker held nothing."""
-    u = workers.crossJoin(F.broadcast(update.select("coord", "exact")))
+    u = update.select("coord", "exact").crossJoin(F.broadcast(workers))
     both = v.join(u, ["worker", "coord"], "full")
     return both.select("worker", "coord", (F.coalesce("delta", F.lit(0.0)) - F.coalesce("exact", F.lit(0.0))).alias("a"))
 
@@ -68,36 +68,32 @@ def train_annealed(
     ``weighted`` output averages the iterates with weights (xi + t)^2.  A coordinate changes only
     when picked, so it adds its value times the weights of the steps since its last change.
     """
-    spark = examples.sparkSession
-    w = commit(w0 if w0 is not None else initial_weights(spark, d), "w").withColumn("since", F.lit(0))
-    w = commit(w, "w")
+    spark, kept = examples.sparkSession, Versions()
+    count = d if overflow == "keep_all" else k
+    start = w0 if w0 is not None else initial_weights(spark, d)
+    # acc: the weighted sum of the iterates before the step of the last change, mark: their weights' sum
+    w = kept.commit(start.select("coord", "w", F.lit(0.0).alias("acc"), F.lit(0.0).alias("mark")), "w")
     ids = spark.range(workers).select(F.col("id").cast("int").alias("worker"))
-    total = [0.0]
-    for t in range(1, steps + 1):
-        total.append(total[-1] + (xi + t) ** 2)
-    prefix = F.array(*(F.lit(x) for x in total))
-    a, sums = None, []
+    a, total = None, 0.0
     for t in range(1, steps + 1):
         f = HashFamily(fam.rows, fam.cols, fam.seed + t, fam.field) if fresh_hash else fam
-        g = loss.gradient(batch(examples, t) if batch else examples, w, d)
-        v = commit(corrected(g, a, 1.0 / (t + xi)), "v")
-        cells = S.sketch(v, f, by=["worker"])
-        cells = commit(S.merge(cells, "mean", workers), "cells")
+        g = loss.gradient(batch(examples, t) if batch else examples, w.select("coord", "w"), d)
+        v = kept.commit(corrected(g, a, 1.0 / (t + xi)), "v")
+        cells = kept.commit(S.merge(S.sketch(v, f, by=["worker"]), "mean", workers), "cells")
         picks = R.heavy_or_random_picks(cells, f, d, k, seed, t, overflow)
-        update = commit(R.exact_refetch(v, picks, d if overflow == "keep_all" else k, reduce, workers), "update")
-        both = w.join(small(update.select("coord", "exact"), k), "coord", "left")
+        update = kept.commit(R.exact_refetch(v, picks, count, reduce, workers), "update")
         # iterate t is the one whose gradient was taken at step t
-        part = both.where(F.col("exact").isNotNull()).select("coord", (F.col("w") * (F.lit(total[t]) - F.get(prefix, F.col("since")))).alias("s"))
-        sums.append(part)
-        w = both.select("coord", (F.col("w") - F.coalesce("exact", F.lit(0.0))).alias("w"), F.when(F.col("exact").isNotNull(), t).otherwise(F.col("since")).alias("since"))
-        w = commit(w, "w")
-        a = commit(subtract_update(v, update, ids), "a")
+        total += (xi + t) ** 2
+        both, hit = w.join(small(update.select("coord", "exact"), count), "coord", "left"), F.col("exact").isNotNull()
+        w = both.select(
+            "coord", (F.col("w") - F.coalesce("exact", F.lit(0.0))).alias("w"),
+            (F.col("acc") + F.when(hit, F.col("w") * (F.lit(total) - F.col("mark"))).otherwise(0.0)).alias("acc"), F.when(hit, F.lit(total)).otherwise(F.col("mark")).alias("mark"),
+        )
+        w = kept.commit(w, "w")
+        a = subtract_update(v, update, ids)
+    kept.close("w", "v", "update")
     if output == "weighted":
-        rest = w.select("coord", (F.col("w") * (F.lit(total[-1]) - F.get(prefix, F.col("since")))).alias("s"))
-        for part in sums:
-            rest = rest.unionByName(part)
-        mean = rest.groupBy("coord").agg((F.sum("s") / F.lit(total[-1])).alias("w"))
-        return Run(mean, a)
+        return Run(w.select("coord", ((F.col("acc") + F.col("w") * (F.lit(total) - F.col("mark"))) / F.lit(total)).alias("w")), a)
     return Run(w.select("coord", "w"), a)
 
 
@@ -124,26 +120,42 @@ def masked(state: DataFrame, update: DataFrame, count: int, mask_velocity: bool
     return both.select("worker", "coord", F.when(hit & F.lit(mask_velocity), 0.0).otherwise(F.col("u")).alias("u"), F.when(hit, left).otherwise(F.col("v")).alias("v"))
 
 
+def clipped(g: DataFrame, limit: float) -> DataFrame:
+    """Each worker's gradient scaled down to the norm ``limit`` at most."""
+    norm = g.groupBy("worker").agg(F.sqrt(F.sum(F.col("g") * F.col("g"))).alias("_n"))  # one row per worker
+    return g.join(F.broadcast(norm), "worker").select("worker", "coord", (F.col("g") * F.least(F.lit(1.0), F.lit(limit) / F.greatest("_n", F.lit(1e-300)))).alias("g"))
+
+
+def sparsity_warmup(d: int, k: int, steps: int) -> Callable[[int], int]:
+    """k of step t: from d down to k in equal ratios over ``steps`` steps."""
+    return lambda t: max(k, round(d * (k / d) ** min(1.0, t / max(1, steps))))
+
+
 def train_momentum(
-    examples: DataFrame, loss, d: int, k: int, steps: int, workers: int, eta: float | Callable[[int], float] = 0.1, m: float = 0.9, p: int = 4,
+    examples: DataFrame, loss, d: int, k: int | Callable[[int], int], steps: int, workers: int, eta: float | Callable[[int], float] = 0.1, m: float = 0.9, p: int = 4,
     fam: HashFamily | None = None, method: str = "sketch", w0: DataFrame | None = None, mask_velocity: bool = True, momentum_correction: bool = True,
     residual: str = "zero", accumulate: bool = True, reduce: str = "sum", refetch: bool = True, groups: DataFrame | None = None, cell_bits: int = 32,
-    seed: int = 0, batch: Callable | None = None, evaluate: DataFrame | None = None,
+    seed: int = 0, batch: Callable | None = None, evaluate: DataFrame | None = None, clip: float | None = None,
 ) -> Run:
     """Momentum trainer; ``method`` chooses what is sent.
 
     ``sketch``: top p * k of the merged sketch, refetched, best k.  ``true_top_k``: k largest of the
     exact sum.  ``local_top_k``: each worker's own k largest.  ``random_candidates``: p * k random
     coordinates, best k.  ``dense``: everything (momentum SGD; nothing is masked).  Coordinates of
-    ``groups`` that are marked as not compressed are sent in full by every method.
+    ``groups`` that are marked as not compressed are sent in full by every method.  ``k`` may be a
+    function of the step (``sparsity_warmup``), ``clip`` bounds the norm of each worker's gradient.
+
+    A step writes the advanced state, the update and the model once each; what the update zeroes is
+    applied when the next step reads the state.  The last two versions of each table are kept.
     """
-    spark = examples.sparkSession
-    run = Run(commit(w0 if w0 is not None else initial_weights(spark, d), "w"))
+    spark, kept, every = examples.sparkSession, Versions(), k
+    run = Run(kept.commit(w0 if w0 is not None else initial_weights(spark, d), "w"))
     velocity = None
     for t in range(1, steps + 1):
-        rate = eta(t) if callable(eta) else eta
+        rate, k = eta(t) if callable(eta) else eta, every(t) if callable(every) else every
         g = loss.gradient(batch(examples, t) if batch else examples, run.w, d)
-        state = commit(advance(run.state, g, m, momentum_correction, accumulate), "state")
+        g = g if clip is None else clipped(g, clip)
+        state = kept.commit(advance(run.state, g, m, momentum_correction, accumulate), "state")
         v = state.select("worker", "coord", F.col("v").alias("delta"))
         full = None
         if groups is not None:
@@ -157,13 +169,13 @@ def train_momentum(
         elif method == "random_candidates":
             update = R.recover_random_candidates(d, k, p, v, seed, t)
         elif method == "local_top_k":
-            sent = commit(R.local_top_k(v, k).withColumnRenamed("value", "exact"), "sent")
+            sent = kept.commit(R.local_top_k(v, k).withColumnRenamed("value", "exact"), "sent")
             update, keys, count = sent.groupBy("coord").agg(F.sum("exact").alias("exact")), ("worker", "coord"), k * workers
         elif method == "sketch":
             cells = S.merge(S.sketch(v, fam, by=["worker"]), "mean", workers)
             if cell_bits == 16:
                 cells = S.dequantise(S.quantise(cells))
-            update = R.recover_over_ask(commit(cells, "cells"), fam, d, k, p, v, refetch=refetch)
+            update = R.recover_over_ask(kept.commit(cells, "cells"), fam, d, k, p, v, refetch=refetch)
             if not refetch:  # estimates are of the mean
                 update = update.withColumn("exact", F.col("exact") * workers)
         else:
@@ -171,19 +183,19 @@ def train_momentum(
         if full is not None:
             update = update.select("coord", "exact").unionByName(full)
             count = d
-        update = commit(update.select("coord", "exact"), "update")
+        update = kept.commit(update.select("coord", "exact"), "update")
         sent = sent if method == "local_top_k" else update
         if method == "local_top_k" and full is not None:
             sent = sent.select("worker", "coord", "exact").unionByName(state.select("worker", "coord").join(full, "coord"))
-        run.state = commit(masked(state, sent, count, mask_velocity and method != "dense", residual, workers if keys == ("coord",) else 1, keys), "state")
+        run.state = masked(state, sent, count, mask_velocity and method != "dense", residual, workers if keys == ("coord",) else 1, keys)
         step = update
         if reduce == "mean":
             step = step.withColumn("exact", F.col("exact") / workers)
         if not momentum_correction:  # momentum on the server, on what was recovered
             step = step if velocity is None else step.join(velocity, "coord", "full").select("coord", (F.coalesce("exact", F.lit(0.0)) + m * F.coalesce("vel", F.lit(0.0))).alias("exact"))
-            step = commit(step.select("coord", "exact"), "vel")
+            step = kept.commit(step.select("coord", "exact"), "vel")
             velocity, count = step.withColumnRenamed("exact", "vel"), d
-        run.w = commit(apply_update(run.w, step, rate, count), "w")
+        run.w = kept.commit(apply_update(run.w, step, rate, count), "w")
         union = update.count()
         sent_numbers = {
             "dense": cost.comm_dense(d), "true_top_k": cost.comm_true_top_k(d, k), "local_top_k": cost.comm_local(k, union),
@@ -192,6 +204,7 @@ def train_momentum(
         run.metrics += [(t, "updated", float(union)), (t, "numbers", float(sent_numbers))]
         if evaluate is not None:
             run.metrics.append((t, "loss", float(loss.evaluate(evaluate, run.w, d).first()[0])))
+    kept.close("w", "state", "update", "sent")
     return run
 
 
