@@ -156,19 +156,38 @@ def annealed_weighted_output(spark, d):
 # momentum trainer and baselines -----------------------------------------------
 
 
-def momentum_ctes(steps: int, method: str = "sketch", mask: bool = True) -> list[tuple[str, str]]:
+DENSE_BELOW = 2  # coordinates that the run with groups sends in full
+
+
+def momentum_ctes(steps: int, method: str = "sketch", mask: bool = True, variant: str = "") -> list[tuple[str, str]]:
+    """Every step as common table expressions; ``variant`` names one changed rule."""
     out = list(BASE)
     for t in range(1, steps + 1):
         w = f"w{t - 1}"
         out.append((f"g{t}", gradient_sql(w)))
-        old = f"SELECT worker, coord, {M}::DOUBLE * s.u + g AS u, s.v + ({M}::DOUBLE * s.u + g) AS delta FROM g{t} JOIN s{t - 1} s USING (worker, coord)"
+        add = "g" if variant == "no_correction" else f"({M}::DOUBLE * s.u + g)"
+        kept = "0" if variant == "no_accumulation" else "s.v"
+        old = f"SELECT worker, coord, {M}::DOUBLE * s.u + g AS u, {kept} + {add} AS delta FROM g{t} JOIN s{t - 1} s USING (worker, coord)"
         out.append((f"v{t}", "SELECT worker, coord, g AS u, g AS delta FROM g1" if t == 1 else old))
         top = lambda q, col, k: f"SELECT * FROM (SELECT *, row_number() OVER (ORDER BY abs({col}) DESC, coord) AS r FROM ({q})) WHERE r <= {k}"
-        total = f"SELECT coord, sum(delta) AS exact FROM v{t} GROUP BY coord"
+        source = f"(SELECT * FROM v{t} WHERE coord >= {DENSE_BELOW})" if variant == "groups" else f"v{t}"
+        total = f"SELECT coord, sum(delta) AS exact FROM {source} GROUP BY coord"
         on = "v.coord = u.coord"
         if method == "sketch":
-            out += cells_ctes(t, f"v{t}")
+            ctes = cells_ctes(t, source)
+            if variant == "sixteen_bits":
+                step = f"(SELECT max(abs(cell)) / 32767 FROM raw{t})"
+                ctes = [(f"raw{t}", ctes[0][1]), (f"cells{t}", f"SELECT row, bucket, CAST(round(cell / {step}) AS SMALLINT) * {step} AS cell FROM raw{t}"), *ctes[1:]]
+            out += ctes
             asked = f"SELECT coord FROM ({top(f'SELECT * FROM est{t}', 'est', P * K)})"
+            update = f"SELECT coord, exact FROM ({top(f'SELECT * FROM ({total}) WHERE coord IN ({asked})', 'exact', K)})"
+            if variant == "no_refetch":
+                update = f"SELECT coord, est * {W} AS exact FROM ({top(f'SELECT * FROM est{t}', 'est', K)})"
+            if variant == "groups":
+                update += f" UNION ALL SELECT coord, sum(delta) AS exact FROM v{t} WHERE coord < {DENSE_BELOW} GROUP BY coord"
+            out.append((f"u{t}", update))
+        elif method == "random_candidates":
+            asked = f"SELECT coord FROM w0 ORDER BY {R.sql_shuffle_key('coord', 0, t)}, coord LIMIT {P * K}"
             out.append((f"u{t}", f"SELECT coord, exact FROM ({top(f'SELECT * FROM ({total}) WHERE coord IN ({asked})', 'exact', K)})"))
         elif method == "true_top_k":
             out.append((f"u{t}", f"SELECT coord, exact FROM ({top(total, 'exact', K)})"))
@@ -180,14 +199,21 @@ def momentum_ctes(steps: int, method: str = "sketch", mask: bool = True) -> list
             on = "v.worker = u.worker AND v.coord = u.coord"
         keep_u = "v.u" if not mask or method == "dense" else "CASE WHEN u.coord IS NULL THEN v.u ELSE 0 END"
         src = f"sent{t}" if method == "local_top_k" else f"u{t}"
-        out.append((f"s{t}", f"SELECT v.worker, v.coord, {keep_u} AS u, CASE WHEN u.coord IS NULL THEN v.delta ELSE 0 END AS v FROM v{t} v LEFT JOIN {src} u ON {on}"))
-        out.append((f"w{t}", f"SELECT w.coord, w.w - {ETA}::DOUBLE * coalesce(u.exact, 0) AS w FROM {w} w LEFT JOIN u{t} u ON w.coord = u.coord"))
+        left = f"v.delta - u.exact / {W}" if variant == "subtract" else "0"
+        out.append((f"s{t}", f"SELECT v.worker, v.coord, {keep_u} AS u, CASE WHEN u.coord IS NULL THEN v.delta ELSE {left} END AS v FROM v{t} v LEFT JOIN {src} u ON {on}"))
+        step = f"u{t}"
+        if variant == "no_correction":
+            step = f"vel{t}"
+            old = f" FULL JOIN vel{t - 1} p ON u.coord = p.coord" if t > 1 else ""
+            out.append((step, f"SELECT coalesce(u.coord, {'p.coord' if t > 1 else 'NULL'}) AS coord, coalesce(u.exact, 0) + {f'{M}::DOUBLE * coalesce(p.exact, 0)' if t > 1 else '0'} AS exact FROM u{t} u{old}"))
+        rate, share = (f"({ETA}::DOUBLE / {t})" if variant == "schedule" else f"{ETA}::DOUBLE"), (f" / {W}" if variant == "mean" else "")
+        out.append((f"w{t}", f"SELECT w.coord, w.w - {rate} * coalesce(u.exact, 0){share} AS w FROM {w} w LEFT JOIN {step} u ON w.coord = u.coord"))
     return out
 
 
 def momentum(spark, d, steps, method="sketch", **more):
     k = LOCAL_K if method == "local_top_k" else K
-    return T.train_momentum(X.ridge_examples(spark, d, W), L.RidgeLoss(L2), D, k, steps, W, ETA, M, P, FAM8, method, w0(spark), **more)
+    return T.train_momentum(X.ridge_examples(spark, d, W), L.RidgeLoss(L2), D, k, steps, W, more.pop("eta", ETA), M, P, FAM8, method, w0(spark), **more)
 
 
 def _momentum_rows(spark, d, steps, **more):
@@ -207,6 +233,29 @@ for _name, _method in (("dense_steps3", "dense"), ("true_topk_steps3", "true_top
         lambda spark, d, method=_method: momentum(spark, d, 3, method).w.select("coord", r6("w"))
     )
 
+
+
+def dense_group(spark):
+    return spark.createDataFrame([(0, DENSE_BELOW, "first", False)], "lo long, hi long, name string, compressed boolean")
+
+
+#: Rules of the momentum trainer that one run each changes.
+VARIANTS = {
+    "no_correction": lambda spark: {"momentum_correction": False},
+    "no_accumulation": lambda spark: {"accumulate": False},
+    "subtract": lambda spark: {"residual": "subtract"},
+    "schedule": lambda spark: {"eta": lambda t: ETA / t},
+    "groups": lambda spark: {"groups": dense_group(spark)},
+    "sixteen_bits": lambda spark: {"cell_bits": 16},
+    "no_refetch": lambda spark: {"refetch": False},
+    "mean": lambda spark: {"reduce": "mean"},
+}
+for _name, _more in VARIANTS.items():
+    query(f"momentum_steps3_{_name}", chain(momentum_ctes(3, variant=_name), "SELECT s.worker, s.coord, round(w.w, 6) + 0.0 AS w, round(s.u, 6) + 0.0 AS u, round(s.v, 6) + 0.0 AS v FROM s3 s JOIN w3 w ON s.coord = w.coord"))(
+        lambda spark, d, more=_more: _momentum_rows(spark, d, 3, **more(spark))
+    )
+query("random_candidates_steps3", chain(momentum_ctes(3, "random_candidates"), "SELECT coord, round(w, 6) + 0.0 AS w FROM w3"))(lambda spark, d: momentum(spark, d, 3, "random_candidates").w.select("coord", r6("w")))
+
 BALANCE = f"""SELECT 'subtract' AS rule, coord, round(lhs, 6) + 0.0 AS lhs, round(rhs, 6) + 0.0 AS rhs FROM
  (SELECT coord, sum(delta) / {W}.0::DOUBLE AS lhs FROM v3 GROUP BY coord) JOIN (SELECT a.coord, sum(a.a) / {W}.0::DOUBLE + coalesce(max(u.exact), 0) AS rhs FROM a3 a LEFT JOIN u3 u ON a.coord = u.coord GROUP BY a.coord) USING (coord)"""
 
