@@ -2,9 +2,11 @@
 
 ``MergeTable`` applies a merge list to a batch of short symbol rows at once (numpy), and to a
 long run of any length in windows, with the right context that the merge list can need at most
-(``MergeTable.lookahead``).  ``ByteStreamEncoder`` feeds text in blocks, and ``ByteStreamDecoder``
-turns ids back into text with an incremental UTF-8 state machine.  ``WordEncoder`` holds the
-lower-casing word vocabulary.  Caches are bounded, so a task's memory does not grow with its input.
+(``MergeTable.lookahead``).  ``TextStream`` is the transducer of one text: it takes blocks, and emits
+tokens once they are stable.  ``ByteStreamEncoder`` advances many streams in step, so that the words
+all of them wait for are merged together and remembered.  ``ByteStreamDecoder`` turns ids back into
+text with an incremental UTF-8 state machine.  ``WordEncoder`` holds the lower-casing word vocabulary.
+Caches are bounded, so a task's memory does not grow with its input.
 """
 
 from __future__ import annotations
@@ -12,6 +14,9 @@ from __future__ import annotations
 import codecs
 import heapq
 import json
+import re
+import sys
+import unicodedata
 from bisect import bisect_left
 from functools import lru_cache
 
@@ -19,7 +24,7 @@ import numpy as np
 import regex
 
 #: Most words or chunks that a cache holds; it starts anew beyond.
-CACHE = 350_000
+CACHE = 600_000
 #: Rows up to this many symbols are merged in a matrix, longer ones by a heap and windows.
 SHORT = 48
 END = "<|endoftext|>"
@@ -216,14 +221,15 @@ RUNS = [regex.compile(r"\p{L}+"), regex.compile(r"\p{N}+"), regex.compile(r"[^\s
 
 
 class Chunks:
-    """Bounded caches of the ids of words and of chunks of words."""
+    """Bounded caches: the ids of words, and of chunks of words the ids or their number."""
 
     def __init__(self):
         self.chunks: dict[str, bytes] = {}
+        self.sizes: dict[str, int] = {}
         self.words: dict[str, bytes] = {}
 
-    def _fill(self, keys, forms, pattern, merges: MergeTable, inner, last) -> None:
-        """Ids of the chunks ``keys``, whose words the pattern finds in ``forms``.
+    def _fill(self, keys, forms, pattern, merges: MergeTable, inner, last, sizes: bool) -> None:
+        """Ids of the chunks ``keys``, whose words the pattern finds in ``forms``, or only their number.
 
         A run of letters, behind a space or not, is one word, and so is a mark at its end.
         """
@@ -242,6 +248,15 @@ class Chunks:
         new.update(w for _, ws in more for w in ws)
         new = [w for w in new if w not in words]
         words.update(zip(new, merges.encode_words([w.encode() for w in new], inner, last), strict=True))
+        if sizes:
+            n = self.sizes
+            for c, f in one:
+                n[c] = len(words[f]) >> 2
+            for c, f, m in two:
+                n[c] = len(words[f]) + len(words[m]) >> 2
+            for c, ws in more:
+                n[c] = sum(len(words[w]) for w in ws) >> 2
+            return
         chunks = self.chunks
         for c, f in one:
             chunks[c] = words[f]
@@ -250,31 +265,37 @@ class Chunks:
         for c, ws in more:
             chunks[c] = b"".join([words[w] for w in ws])
 
+    def _missing(self, split, cache: dict) -> set[str]:
+        """Chunks that the cache lacks; a cache that would outgrow its limit starts anew."""
+        wanted = set().union(*split)
+        missing = wanted - cache.keys()
+        if len(cache) + len(missing) > CACHE:
+            cache.clear()
+            missing = wanted
+        if len(self.words) > CACHE:
+            self.words.clear()
+        return missing
 
-class ByteStreamEncoder(Chunks):
-    """Encodes text fed in blocks; ``feed`` and ``finish`` return little-endian ids.
 
-    A word boundary of the pattern is stable once the characters behind it are known, so all
-    but the open end of the buffer is encoded at once.  An open word beyond ``LIMIT`` becomes a
-    run: its bytes go to ``LongRun``, which emits tokens as the lookahead permits.
-    """
+class ByteStreamEncoder(Chunks):
+    """Encodes texts; ids come as little-endian bytes."""
 
+    #: Longest chunk that is merged whole; a longer one is a run of its stream.
     LIMIT = 4096
+    #: Characters that a stream takes at a time.
+    STEP = 1 << 16
 
     def __init__(self, path: str):
         super().__init__()
         self.v = byte_vocabulary(path)
-        self.tail, self.run, self.long = "", None, LongRun(self.v.merges)
 
-    def _learn(self, missing: set[str]) -> None:
-        if len(self.chunks) + len(missing) > CACHE:
-            self.chunks.clear()
-        if len(self.words) > CACHE:
-            self.words.clear()
-        self._fill(missing, missing, BYTE_WORDS, self.v.merges, self.v.symbol, self.v.symbol)
+    def learn(self, split, sizes: bool = False) -> None:
+        """Merges, all together, the chunks of these texts that are not remembered."""
+        missing = [c for c in self._missing(split, self.sizes if sizes else self.chunks) if len(c) <= self.LIMIT]
+        self._fill(missing, missing, BYTE_WORDS, self.v.merges, self.v.symbol, self.v.symbol, sizes)
 
     @staticmethod
-    def _split(text: str) -> list[str]:
+    def split(text: str) -> list[str]:
         """Cuts before each space that a word follows; such a place always ends a word."""
         first, *rest = text.split(" ")
         if "  " not in text and not text.endswith(" ") and " \n" not in text and "\t" not in text and "\r" not in text and text.isascii():
@@ -287,29 +308,96 @@ class ByteStreamEncoder(Chunks):
                 out[-1] += " " + x
         return out if out[0] else out[1:]
 
-    def encode(self, texts: list[str]) -> list[bytes]:
-        """Ids of whole texts."""
-        split = [None if len(t) > 1 << 20 or END in t else self._split(t) for t in texts]
-        missing = set().union(*(s for s in split if s is not None)) - self.chunks.keys()
-        missing = {c for c in missing if len(c) <= self.LIMIT}
-        self._learn(missing)
+    def steps(self, text: str):
+        """(block, what ends the text's part behind it): None, no ids, or the id of a special string."""
+        at = 0
+        while True:
+            end = text.find(END, at) if END in self.v.special else -1
+            stop = len(text) if end < 0 else end
+            while stop - at > self.STEP:
+                yield text[at : at + self.STEP], None
+                at += self.STEP
+            yield text[at:stop], b"" if end < 0 else self.v.special[END].to_bytes(4, "little")
+            if end < 0:
+                return
+            at = end + len(END)
+
+    def advance(self, work: list[tuple["TextStream", str, bytes | None]]) -> list[bytes]:
+        """Gives every stream its next block; returns the ids that are stable then."""
+        ready = [stream.take(block, end is not None) for stream, block, end in work]
+        self.learn([x for _, x in ready])
         get, out = self.chunks.__getitem__, []
-        for text, s in zip(texts, split, strict=True):
+        for (stream, _, end), (held, split) in zip(work, ready, strict=True):
             try:
-                out.append(b"".join(map(get, s)) if s is not None else self._stream(text))
-            except KeyError:  # an overlong chunk, or one that went with the cache
-                out.append(self._stream(text))
+                got = held + b"".join(map(get, split))
+            except KeyError:  # an overlong chunk
+                got = held + b"".join(map(self.whole, split))
+            if end is not None:
+                got += stream.finish() + end
+            out.append(got)
         return out
 
-    def _stream(self, text: str) -> bytes:
-        out = []
-        for k, part in enumerate(text.split(END) if END in self.v.special else [text]):
-            if k:
-                out.append(self.v.special[END].to_bytes(4, "little"))
-            for i in range(0, len(part), 1 << 16):
-                out.append(self.feed(part[i : i + (1 << 16)]))
-            out.append(self.finish())
-        return b"".join(out)
+    def whole(self, chunk: str) -> bytes:
+        """Ids of a chunk of any length."""
+        if len(chunk) <= self.LIMIT:
+            if chunk not in self.chunks:
+                self.learn([[chunk]])
+            return self.chunks[chunk]
+        own = TextStream(self)
+        parts = [own.feed(chunk[i : i + self.LIMIT]) for i in range(0, len(chunk), self.LIMIT)]
+        return b"".join([*parts, own.finish()])
+
+    def encode(self, texts: list[str]) -> list[bytes]:
+        """Ids of whole texts, each through its own stream."""
+        out: list[list[bytes]] = [[] for _ in texts]
+        for k, got in self.rounds(texts):
+            out[k].append(got)
+        return [b"".join(x) for x in out]
+
+    def rounds(self, texts: list[str]):
+        """(number of the text, ids that became stable), block by block, all texts in step."""
+        open_ = [(k, TextStream(self), self.steps(t)) for k, t in enumerate(texts)]
+        while open_:
+            todo = [(x, step) for x in open_ if (step := next(x[2], None)) is not None]
+            open_ = [x for x, _ in todo]
+            yield from zip([k for k, _, _ in open_], self.advance([(x[1], *step) for x, step in todo]), strict=True)
+
+    def lengths(self, texts: list[str]) -> list[int]:
+        """Numbers of tokens of whole texts; ids are not kept."""
+        split = [None if len(t) > self.STEP or END in t else self.split(t) for t in texts]
+        self.learn([s for s in split if s is not None], sizes=True)
+        get, out = self.sizes.__getitem__, []
+        for t, s in zip(texts, split, strict=True):
+            try:
+                out.append(sum(map(get, s)) if s is not None else len(self.encode([t])[0]) >> 2)
+            except KeyError:  # an overlong chunk
+                out.append(len(self.encode([t])[0]) >> 2)
+        return out
+
+
+class TextStream:
+    """The transducer of one text: open end, and the open run of an overlong word.
+
+    A word boundary of the pattern is stable once the characters behind it are known, so all
+    but the open end of the buffer is encoded at once.  An open word beyond ``LIMIT`` becomes a
+    run: its bytes go to ``LongRun``, which emits tokens as the lookahead permits.
+    """
+
+    def __init__(self, encoder: ByteStreamEncoder):
+        self.encoder, self.v = encoder, encoder.v
+        self.tail, self.run, self.long = "", None, None
+
+    def take(self, block: str, last: bool) -> tuple[bytes, list[str]]:
+        """Ids that are stable already, and stable chunks for the encoder to look up."""
+        if self.run is not None:
+            return self.feed(block), []
+        s = self.tail + block
+        at = len(s) if last else next((i for i in range(len(s) - 2, 0, -1) if s[i] == " " and not s[i + 1].isspace()), 0)
+        self.tail = s[at:]
+        if len(self.tail) > self.encoder.LIMIT:
+            self.tail = ""
+            return self.feed(s), []
+        return b"", self.encoder.split(s[:at]) if at else []
 
     def _push(self, text: str) -> bytes:
         return np.array(self.long.feed(self.v.symbol[np.frombuffer(text.encode(), np.uint8)].tolist()), "<u4").tobytes()
@@ -320,9 +408,7 @@ class ByteStreamEncoder(Chunks):
 
     def _whole(self, text: str) -> bytes:
         """Ids of text that ends at a stable boundary."""
-        parts = self._split(text) if text else []
-        self._learn({p for p in parts if p not in self.chunks})
-        return b"".join([self.chunks[p] for p in parts])
+        return b"".join(map(self.encoder.whole, self.encoder.split(text))) if text else b""
 
     def feed(self, block: str) -> bytes:
         out, s = [], self.tail + block
@@ -339,27 +425,31 @@ class ByteStreamEncoder(Chunks):
         at = next((i for i in range(len(s) - 2, 0, -1) if s[i] == " " and not s[i + 1].isspace()), 0)
         out.append(self._whole(s[:at]))
         s = s[at:]
-        if len(s) > self.LIMIT:
+        if len(s) > self.encoder.LIMIT:
             ws = BYTE_WORDS.findall(s)
             last = ws[-1]
-            if len(last) > self.LIMIT // 2:
-                out.append(self._whole(s[: len(s) - len(last)]))
-                self.run = next(r for r in RUNS if r.match(last[-1]))
+            if len(last) > self.encoder.LIMIT // 2:
+                out.append(self._words(ws[:-1]))
+                self.run, self.long = next(r for r in RUNS if r.match(last[-1])), LongRun(self.v.merges)
                 space = self.run is RUNS[3]
                 out.append(self._push(last[:-1] if space else last))
                 s = last[-1] if space else ""
             else:
-                keep = sum(map(len, ws[-4:]))
-                out.append(self._whole(s[: len(s) - keep]))
-                s = s[len(s) - keep :]
+                out.append(self._words(ws[:-4]))
+                s = "".join(ws[-4:])
         self.tail = s
         return b"".join(out)
 
+    def _words(self, words: list[str]) -> bytes:
+        """Ids of words of the pattern, the long ones by windows."""
+        symbol = self.v.symbol
+        return b"".join([self.v.merges.encode_long(symbol[np.frombuffer(w.encode(), np.uint8)].tolist()).tobytes() for w in words])
+
     def finish(self) -> bytes:
         s, self.tail = self.tail, ""
         if self.run is not None:
             return self._push(s) + self._close()
-        return self._whole(s)
+        return self._words(BYTE_WORDS.findall(s)) if len(s) > self.encoder.LIMIT else self._whole(s)
 
 
 class ByteStreamDecoder:
@@ -367,12 +457,18 @@ class ByteStreamDecoder:
 
     def __init__(self, path: str):
         self.v = byte_vocabulary(path)
-        self.machine = codecs.getincrementaldecoder("utf-8")("replace")
+        self.machine = self.fresh()
+
+    @staticmethod
+    def fresh() -> codecs.IncrementalDecoder:
+        """The state machine of one text."""
+        return codecs.getincrementaldecoder("utf-8")("replace")
+
+    def raw(self, ids: np.ndarray) -> bytes:
+        return b"".join(map(self.v.text.__getitem__, ids.tolist()))
 
     def feed(self, ids: np.ndarray) -> str:
-        width = self.v.width[ids]
-        at = np.repeat(self.v.first[ids] - (np.cumsum(width) - width), width) + np.arange(int(width.sum()))
-        return self.machine.decode(self.v.flat[at].tobytes())
+        return self.machine.decode(self.raw(ids))
 
     def finish(self) -> str:
         return self.machine.decode(b"", True)
@@ -390,23 +486,29 @@ LOWER_WORDS = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}
 ODD = ("<|", "\x1c", "\x1d", "\x1e", "\x1f")
 
 
-# Marks that are set off from the letter or digit before them.
-SET_OFF = (". ", ".\n", ", ")
+# Full stops and commas behind an ASCII letter or digit and before a space or line end.
+SET_OFF = re.compile(r"(?<=[A-Za-z0-9])([.,])(?=[ \n])")
 
 
 def loose(text: str) -> list[str]:
-    """Chunks between white space, with full stops and commas set off from letters.
+    """Chunks between white space, with full stops and commas set off from ASCII letters and digits.
 
     White space makes no token and words end at marks anyway, so setting a mark off changes no
-    token unless it stands in a run of marks; it leaves far fewer different chunks.
+    token unless it stands in a run of marks; it leaves far fewer different chunks.  Behind other
+    letters it might: their normal form can end in a combining mark, which is no letter.
     """
     if text.isascii():
         text = text.lower()
-    for mark in SET_OFF:
-        parts = text.split(mark)
-        if all([p[-1:].isalnum() for p in parts[:-1]]):
-            text = (" " + mark).join(parts)
-    return text.split()
+    return SET_OFF.sub(r" \1", text).split()
+
+
+@lru_cache(maxsize=1)
+def unassigned() -> re.Pattern:
+    """Code points that this Python's Unicode tables lack; the library's may know them."""
+    gone = [c for c in range(0x80, sys.maxunicode + 1) if unicodedata.category(chr(c)) == "Cn"]
+    first = [c for k, c in enumerate(gone) if not k or gone[k - 1] != c - 1]
+    last = [c for k, c in enumerate(gone) if k + 1 == len(gone) or gone[k + 1] != c + 1]
+    return re.compile("[" + "".join(f"{chr(a)}-{chr(b)}" for a, b in zip(first, last, strict=True)) + "]")
 
 
 class WordEncoder(Chunks):
@@ -414,7 +516,8 @@ class WordEncoder(Chunks):
 
     White space is dropped and never joined, so each chunk between white space is encoded by
     itself and remembered.  Texts with special strings or with the separators that Python, but
-    not the library, takes as white space go to the library.
+    not the library, takes as white space go to the library, and so do chunks with characters
+    that Python's Unicode tables lack.
     """
 
     def __init__(self, path: str):
@@ -433,32 +536,46 @@ class WordEncoder(Chunks):
         self.merges = MergeTable([(vocab[a], vocab[b], vocab[a + b]) for a, b in pairs], width)
         self.inner = np.array([vocab[c] for c in byte_letters()], np.int64)
         self.last = np.array([vocab[c + mark] for c in byte_letters()], np.int64)
+        self.unknown = unassigned()
 
-    def _learn(self, missing: set[str]) -> None:
-        if len(self.chunks) + len(missing) > CACHE:
-            self.chunks.clear()
-        if len(self.words) > CACHE:
-            self.words.clear()
+    def _library_ids(self, text: str) -> bytes:
+        return np.array(self.library.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
+
+    def _learn(self, split, sizes: bool = False) -> None:
+        missing = self._missing(split, self.sizes if sizes else self.chunks)
         plain = [c for c in missing if c.isascii()]
         other = [c for c in missing if not c.isascii()]
+        odd = [c for c in other if self.unknown.search(c)]
+        for c in odd:
+            got = self._library_ids(c)
+            if sizes:
+                self.sizes[c] = len(got) >> 2
+            else:
+                self.chunks[c] = got
+        if odd:
+            odd = set(odd)
+            other = [c for c in other if c not in odd]
         # chunks hold no white space, and normalising neither adds nor takes any
         normal = self.normal.normalize_str(" ".join(other)).split(" ") if other else []
         if len(normal) != len(other):
             normal = [self.normal.normalize_str(c) for c in other]
-        self._fill(plain + other, [c.lower() for c in plain] + normal, LOWER_WORDS, self.merges, self.inner, self.last)
+        self._fill(plain + other, [c.lower() for c in plain] + normal, LOWER_WORDS, self.merges, self.inner, self.last, sizes)
+
+    def _split(self, texts: list[str]) -> list[list[str] | None]:
+        return [None if any(x in t for x in ODD) else loose(t) for t in texts]
 
     def encode(self, texts: list[str]) -> list[bytes]:
-        split = [None if any(x in t for x in ODD) else loose(t) for t in texts]
-        missing = set().union(*(s for s in split if s is not None)) - self.chunks.keys()
-        if len(self.chunks) + len(missing) > CACHE:
-            self.chunks.clear()
-            missing = set().union(*(s for s in split if s is not None))
-        self._learn(missing)
+        split = self._split(texts)
+        self._learn([s for s in split if s is not None])
         get = self.chunks.__getitem__
-        return [
-            b"".join(map(get, s)) if s is not None else np.array(self.library.encode(t, add_special_tokens=False).ids, "<u4").tobytes()
-            for t, s in zip(texts, split, strict=True)
-        ]
+        return [b"".join(map(get, s)) if s is not None else self._library_ids(t) for t, s in zip(texts, split, strict=True)]
+
+    def lengths(self, texts: list[str]) -> list[int]:
+        """Numbers of tokens of whole texts; ids are not kept."""
+        split = self._split(texts)
+        self._learn([s for s in split if s is not None], sizes=True)
+        get = self.sizes.__getitem__
+        return [sum(map(get, s)) if s is not None else len(self._library_ids(t)) >> 2 for t, s in zip(texts, split, strict=True)]
 
 
 @lru_cache(maxsize=4)

@@ -2,12 +2,15 @@
 
 Totals are sums of signed rows: an insert adds a document and its tokens, a delete takes both off,
 a revision takes the old count off and adds the new one.  A batch is aggregated, written to the
-ledger's folder, and committed by creating its marker, which can be created once only; a repeated
-or concurrent commit of the same batch finds the marker and changes nothing.  Data without a marker
-(of a writer that died) are never read.
-
-Defined results: null source or language is a group of its own; a null count is 0; an empty batch
-commits and adds nothing; further columns are ignored.
+ledger's folder, and committed by renaming its finished marker to the batch's name, which succeeds
+once only; a repeated or concurrent commit of the same batch finds the marker and changes nothing.
+Data without a marker (of a writer that died) are never read, and a marker without content (of a
+store that could not rename at once) counts as none and is replaced.
+
+Defined results: null source or language is a group of its own; a null count is 0; a null text has
+no tokens; a text of any length is counted whole; repeated rows count each; an empty batch commits
+and adds nothing; further columns are ignored.  Markers are handled by Hadoop's file system through
+the driver's JVM, so the ledger needs a session that has one.
 """
 
 from __future__ import annotations
@@ -48,26 +51,46 @@ class TokenLedger:
         self.path = spark._jvm.org.apache.hadoop.fs.Path
         self.fs = self.path(self.root).getFileSystem(spark._jsc.hadoopConfiguration())
 
+    def _marker(self, batch: str) -> str | None:
+        """Data folder that the batch's marker names, if it is there and whole."""
+        at = self.path(f"{self.root}/commits/{batch}")
+        if not self.fs.exists(at):
+            return None
+        data = self.fs.open(at)
+        raw = bytes(data.readAllBytes())
+        data.close()
+        return json.loads(raw)["data"] if raw else None
+
     def committed(self, batch: str) -> bool:
-        return self.fs.exists(self.path(f"{self.root}/commits/{batch}"))
+        return self._marker(batch) is not None
 
     def commit(self, batch: str, deltas: DataFrame) -> bool:
         """Adds the batch once; False if it is there already."""
-        if not batch or "/" in batch:
-            raise ValueError("a batch needs a name without slash")
+        if not batch or "/" in batch or batch[0] in "._":
+            raise ValueError("a batch needs a name without slash that starts with neither dot nor underscore")
         if self.committed(batch):
             return False
         data = f"data/{batch}-{uuid.uuid4().hex}"
         rows = deltas.groupBy(*KEYS).agg(F.sum("n_docs").cast("long").alias("n_docs"), F.sum("n_tokens").cast("long").alias("n_tokens"))
         rows.where("n_docs <> 0 or n_tokens <> 0").write.parquet(f"{self.root}/{data}")
-        try:
-            out = self.fs.create(self.path(f"{self.root}/commits/{batch}"), False)
+        return self._mark(batch, data)
+
+    def _mark(self, batch: str, data: str) -> bool:
+        ready, at = self.path(f"{self.root}/commits/.{batch}-{uuid.uuid4().hex}"), self.path(f"{self.root}/commits/{batch}")
+        out = self.fs.create(ready, False)
+        out.write(bytearray(json.dumps({"data": data}).encode()))
+        out.close()
+        if self.fs.exists(at) and not self.committed(batch):
+            self.fs.delete(at, False)
+        jvm = self.spark._jvm
+        kind = getattr(jvm.org.apache.hadoop.fs, "Options$Rename")
+        try:  # refuses a name that is taken
+            jvm.org.apache.hadoop.fs.FileContext.getFileContext(self.fs.getUri(), self.spark._jsc.hadoopConfiguration()).rename(ready, at, self.spark.sparkContext._gateway.new_array(kind, 0))
         except Exception:
+            self.fs.delete(ready, False)
             if self.committed(batch):
                 return False
             raise
-        out.write(bytearray(json.dumps({"data": data}).encode()))
-        out.close()
         return True
 
     def batches(self) -> dict[str, str]:
@@ -75,14 +98,9 @@ class TokenLedger:
         folder = self.path(f"{self.root}/commits")
         if not self.fs.exists(folder):
             return {}
-        found = {}
-        for f in self.fs.listStatus(folder):
-            data = self.fs.open(f.getPath())
-            raw = bytes(data.readAllBytes())
-            data.close()
-            if raw:  # a marker without content is a commit in progress
-                found[f.getPath().getName()] = json.loads(raw)["data"]
-        return found
+        names = [f.getPath().getName() for f in self.fs.listStatus(folder)]
+        found = {n: self._marker(n) for n in names if not n.startswith(".")}
+        return {n: data for n, data in found.items() if data}
 
     def totals(self) -> DataFrame:
         paths = [f"{self.root}/{p}" for p in self.batches().values()]
@@ -99,14 +117,14 @@ def token_counts(docs: DataFrame, word_path: str, byte_path: str) -> DataFrame:
         for b in batches:
             texts = [t or "" for t in b.column("text").to_pylist()]
             for version, encoder in (("word_bpe_49k", word_encoder(word_path)), ("byte_bpe_50k", byte_encoder(byte_path))):
-                n = [len(x) // 4 for i, j in text_blocks(texts) for x in encoder.encode(texts[i:j])]
-                old = [len(t.encode()) // 4 for t in texts]
+                n = [x for i, j in text_blocks(texts) for x in encoder.lengths(texts[i:j])]
                 yield pa.RecordBatch.from_arrays(
-                    [b.column("doc_id"), b.column("source"), b.column("lang"), pa.array([version] * len(n), pa.string()), pa.array(n, pa.int64()), pa.array(old, pa.int64())],
+                    [*(b.column(c) for c in ("doc_id", "source", "lang")), pa.array([version] * len(n), pa.string()), pa.array(n, pa.int64()), b.column("old_tokens")],
                     ["doc_id", "source", "lang", "version", "n_tokens", "old_tokens"],
                 )
 
-    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), *(F.col(c).cast("string").alias(c) for c in ("source", "lang", "text")))
+    old = F.floor(F.coalesce(F.octet_length(F.col("text").cast("string")), F.lit(0)) / 4).cast("long").alias("old_tokens")
+    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), *(F.col(c).cast("string").alias(c) for c in ("source", "lang", "text")), old)
     return docs.mapInArrow(run, "doc_id long, source string, lang string, version string, n_tokens long, old_tokens long")
 
 

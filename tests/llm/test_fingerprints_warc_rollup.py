@@ -111,6 +111,34 @@ def test_ledger(spark, tmp_path):
     assert {tuple(r) for r in TR.TokenLedger(spark, f"file://{tmp_path}/ledger").totals().collect()} == want
 
 
+def test_ledger_survives_a_dead_writer(spark, tmp_path):
+    df = spark.createDataFrame([("a", "en", "v1", 5)], "source string, lang string, version string, n_tokens long")
+    ledger = TR.TokenLedger(spark, f"file://{tmp_path}/ledger")
+    (tmp_path / "ledger" / "commits").mkdir(parents=True)
+    (tmp_path / "ledger" / "commits" / "b1").touch()  # a marker whose content never came
+    assert not ledger.committed("b1") and ledger.totals().count() == 0
+    assert ledger.commit("b1", TR.inserted(df)) and not ledger.commit("b1", TR.inserted(df))
+    data = ledger.batches()["b1"]
+    assert not ledger._mark("b1", "data/other") and ledger.batches() == {"b1": data}  # a second writer loses
+    assert [tuple(r) for r in ledger.totals().collect()] == [("a", "en", "v1", 1, 5)]
+
+
+def test_whole_rollup_query_against_brute_force(spark, tmp_path):
+    tokenizers = pytest.importorskip("tokenizers")
+    rows = [(i, t, None if i % 7 == 0 else "de", f"s{i % 3}") for i, t in enumerate(texts(40))] + [(None, "no id, İ.", "de", "s1"), (3, "again", "de", "s0")]
+    spark.createDataFrame(rows, "doc_id long, text string, lang string, source string").repartition(3).write.parquet(f"{tmp_path}/documents.parquet")
+    want = Counter()
+    for version in ("word_bpe_49k", "byte_bpe_50k"):
+        library = tokenizers.Tokenizer.from_file(tokenizer_path(f"{version}.json"))
+        for _, t, lang, source in rows:
+            want[source, lang, version, "docs"] += 1
+            want[source, lang, version, "tokens"] += len(library.encode(t or "", add_special_tokens=False).ids)
+    got = {}
+    for r in TR.op6_delta_rollup(spark, str(tmp_path)).collect():
+        got[r.source, r.lang, r.version, "docs"], got[r.source, r.lang, r.version, "tokens"] = r.n_docs, r.n_tokens
+    assert got == dict(want)
+
+
 def test_token_counts(spark):
     tokenizers = pytest.importorskip("tokenizers")
     names = {"word_bpe_49k": tokenizer_path("word_bpe_49k.json"), "byte_bpe_50k": tokenizer_path("byte_bpe_50k.json")}

@@ -40,18 +40,45 @@ def test_stream_in_any_blocks_and_bounded_buffer():
     for text in texts(80):
         if bpe.END in text:
             continue
-        out, i = b"", 0
+        out, i, one = b"", 0, bpe.TextStream(e)
         while i < len(text):
             n = rnd.choice([1, 3, 50, 3000])
-            out += e.feed(text[i : i + n])
-            assert len(e.tail) <= e.LIMIT + 3000 and len(e.long.held) <= 3 * e.v.merges.lookahead + 4 * 3000
+            if rnd.random() < 0.5:
+                out += e.advance([(one, text[i : i + n], None)])[0]
+            else:
+                out += one.feed(text[i : i + n])
+            assert len(one.tail) <= e.LIMIT + 3000 and (one.run is None or len(one.long.held) <= 3 * e.v.merges.lookahead + 4 * 3000)
             i += n
-        ids = np.frombuffer(out + e.finish(), "<u4")
+        ids = np.frombuffer(out + one.finish(), "<u4")
         assert ids.tolist() == library.encode(text, add_special_tokens=False).ids
         assert "".join([*(d.feed(ids[k : k + 1]) for k in range(len(ids))), d.finish()]) == text
         d.machine.reset()
 
 
+def test_every_text_goes_through_a_stream(monkeypatch):
+    path = packing.tokenizer_path("byte_bpe_50k.json")
+    e, library, seen, runs = bpe.ByteStreamEncoder(path), tokenizers.Tokenizer.from_file(path), [], []
+    take, finish = bpe.TextStream.take, bpe.LongRun.finish
+    monkeypatch.setattr(bpe.TextStream, "take", lambda self, block, last: seen.append(len(block)) or take(self, block, last))
+    monkeypatch.setattr(bpe.LongRun, "finish", lambda self: runs.append(1) or finish(self))
+    monkeypatch.setattr(bpe.ByteStreamEncoder, "STEP", 1000)
+    some = [*texts(30), "word and more words, " * 900, "no" * 3000]
+    got = e.encode(some)
+    assert [np.frombuffer(x, "<u4").tolist() for x in got] == [library.encode(t, add_special_tokens=False).ids for t in some]
+    assert sum(seen) == sum(len(t.replace(bpe.END, "")) for t in some) and max(seen) <= 1000 and len(runs) > 5
+    assert e.lengths(some) == [len(x) // 4 for x in got]
+
+
+def test_word_ids_of_all_letters_before_marks():
+    path = packing.tokenizer_path("word_bpe_49k.json")
+    library, ours = tokenizers.Tokenizer.from_file(path), bpe.word_encoder(path)
+    some = [*range(0x80, 0x1000), 0x1E9E, 0x212A, 0xA7F1, *range(0xFB00, 0xFB50), *range(0x1D400, 0x1D420), *range(0x11F00, 0x11F60), *range(0x1E030, 0x1E0A0)]
+    lines = [f(chr(c)) for c in some for f in ("x{0}, a{0}. B".format, "{0}\n{0}, c".format, "a{0}b 1{0}.".format)]
+    got, want = ours.encode(lines), library.encode_batch(lines, add_special_tokens=False)
+    assert [a for a, x, y in zip(lines, got, want, strict=True) if np.frombuffer(x, "<u4").tolist() != y.ids] == []
+    assert ours.lengths(lines) == [len(y.ids) for y in want]
+
+
 def test_decode_broken_utf8_like_library():
     path = packing.tokenizer_path("byte_bpe_50k.json")
     library, rnd = tokenizers.Tokenizer.from_file(path), np.random.default_rng(1)
