@@ -12,11 +12,13 @@ import json
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from gradsift.operators import recover as R
 from gradsift.operators import simulate as SIM
 from gradsift.plans.bounds import min_offset
+from gradsift.plans.durable import commit
 from gradsift.sources.tables import load_table
 from gradsift.workloads import fixtures as X
 from gradsift.workloads.registry import query
@@ -60,7 +62,22 @@ def ridge_data(spark, d):
     return rows[[f"x{i}" for i in range(X.DIM)]].to_numpy(), rows["y"].to_numpy()
 
 
-def char_data(spark, d, buckets: int = 1 << 14, workers: int = 4):
+CONTEXTS = 1 << 14
+
+
+def char_places(text: str | None) -> tuple[np.ndarray, np.ndarray]:
+    """(hashed context of the three characters before, code point) of every place of a text."""
+    p = np.frombuffer((text or "").encode("utf-32-le"), "<u4").astype(np.int64)
+    return (p[:-3] * 961 + p[1:-2] * 31 + p[2:-1]) * 7919 % 2147483647 % CONTEXTS, p[3:]
+
+
+def char_documents(spark, d):
+    """German documents: doc_id, lower-cased text, whether held out."""
+    test = R.shuffle_key(F.col("doc_id"), 1) % 10 < 2
+    return load_table(spark, d, "documents").where("lang = 'de'").select(F.col("doc_id").cast("long").alias("doc_id"), F.lower("text").alias("t"), test.alias("test"))
+
+
+def char_data(spark, d, workers: int = 4):
     """Next character from the three before it (hashed): counts (worker, context, letter) over all places of all German texts, and those of held-out documents.
 
     A letter of the training texts is a class of its own; the last class is kept for letters that only held-out texts have.
@@ -74,31 +91,28 @@ def char_data(spark, d, buckets: int = 1 << 14, workers: int = 4):
         for b in batches:
             keys, size = [np.zeros(0, np.int64)], 0
             for i, t, test in zip(*(b.column(c).to_pylist() for c in ("doc_id", "t", "test")), strict=True):
-                p = np.frombuffer((t or "").encode("utf-32-le"), "<u4").astype(np.int64)
-                ctx = (p[:-3] * 961 + p[1:-2] * 31 + p[2:-1]) * 7919 % 2147483647 % buckets
-                keys.append(((int(test) * workers + i % workers) * buckets + ctx) * 0x110000 + p[3:])
+                ctx, point = char_places(t)
+                keys.append(((int(test) * workers + i % workers) * CONTEXTS + ctx) * 0x110000 + point)
                 size += len(ctx)
                 if size > 1 << 20:
                     yield counted(keys)
                     keys, size = keys[:1], 0
             yield counted(keys)
 
-    test = R.shuffle_key(F.col("doc_id"), 1) % 10 < 2
-    docs = load_table(spark, d, "documents").where("lang = 'de'").select(F.col("doc_id").cast("long").alias("doc_id"), F.lower("text").alias("t"), test.alias("test"))
-    rows = docs.mapInArrow(run, "key long, n long").groupBy("key").agg(F.sum("n").alias("n")).toPandas()  # contexts x letters, not places
+    rows = char_documents(spark, d).mapInArrow(run, "key long, n long").groupBy("key").agg(F.sum("n").alias("n")).toPandas()  # contexts x letters, not places
     key, n = rows["key"].to_numpy(np.int64), rows["n"].to_numpy(np.int64)
-    point, ctx, worker, held = key % 0x110000, key // 0x110000 % buckets, key // 0x110000 // buckets % workers, key // 0x110000 // buckets // workers
+    point, ctx, worker, held = key % 0x110000, key // 0x110000 % CONTEXTS, key // 0x110000 // CONTEXTS % workers, key // 0x110000 // CONTEXTS // workers
     known = np.unique(point[held == 0])
     letters = max(64, len(known) + 1)
     place = np.searchsorted(known, point)
     y = np.where(np.isin(point, known), place, letters - 1)
     out = []
     for part in (0, 1):
-        x = np.zeros((workers, buckets, letters), np.int64)
+        x = np.zeros((workers, CONTEXTS, letters), np.int64)
         own = held == part
         np.add.at(x, (worker[own], ctx[own], y[own]), n[own])
         out.append((x if part == 0 else x.sum(0, keepdims=True), np.zeros(workers if part == 0 else 1, int)))
-    return tuple(out)
+    return (*out, known)
 
 
 def sweep(spark, data, model: dict, settings: list[dict]):
@@ -118,16 +132,15 @@ def sweep(spark, data, model: dict, settings: list[dict]):
         for pdf in frames:
             for text in pdf["setting"]:
                 s = json.loads(text)
-                name = s.pop("name")
-                etas = s.pop("etas", ETAS)
+                name, etas, seeds = s.pop("name"), s.pop("etas", ETAS), s.pop("seeds", SEEDS)
                 trial = lambda eta, seed, s=s: SIM.simulate(build(), train, test, eta=eta, seed=seed, **s)
                 with np.errstate(all="ignore"):
                     scores = [np.mean([trial(e, 90 + i)["train_loss"] for i in range(2)]) for e in etas] if len(etas) > 1 else [0.0]
                     eta = etas[int(np.argmin(np.nan_to_num(scores, nan=np.inf)))]
-                    got = pd.DataFrame([trial(eta, i) for i in range(SEEDS)])
-                avg, sd = got.mean(), got.std()
+                    got = pd.DataFrame([trial(eta, i) for i in range(seeds)])
+                avg, sd = got.mean(), got.std(ddof=0)
                 yield pd.DataFrame([{
-                    "name": name, "method": s["method"], "W": s["workers"], "k": s.get("k", 0), "P": s.get("p", 0), "r": s.get("rows", 0), "c": s.get("cols", 0), "eta": eta, "seeds": SEEDS,
+                    "name": name, "method": s["method"], "W": s["workers"], "k": s.get("k", 0), "P": s.get("p", 0), "r": s.get("rows", 0), "c": s.get("cols", 0), "eta": eta, "seeds": seeds,
                     "train_loss": avg.train_loss, "train_loss_sd": sd.train_loss, "accuracy": avg.accuracy, "accuracy_sd": sd.accuracy, "updated": avg.updated, "numbers": avg.numbers, "factor": avg.factor,
                 }])
 
@@ -149,22 +162,22 @@ def cols_for(d: int, k: int, p: int, factor: float, rows: int = 5) -> int:
 @query("w1_methods_char_model")
 def w1_methods_char_model(spark, d):
     """Next-character model on all German texts: dense, true top-k, sketches at 20 and 40 times with two splits each."""
-    data, k = char_data(spark, d), 1000
+    data, k = char_data(spark, d)[:2], 1000
     _, f, c = data[0][0].shape
     s = [{"name": "dense", "method": "dense"}, {"name": "true_top_k", "method": "true_top_k", "k": k}]
     for factor, p, rows in ((20, 16, 5), (20, 36, 5), (40, 16, 15), (40, 26, 5)):
         s.append({"name": f"sketch_{factor}x_p{p}", "method": "sketch", "k": k, "p": p, "rows": rows, "cols": cols_for((f + 1) * c, k, p, factor, rows)})
-    return sweep(spark, data, {"kind": "context_softmax", "args": [f, c]}, [BASE | {"steps": 20, "etas": (0.3, 1.0)} | x for x in s])
+    return sweep(spark, data, {"kind": "context_softmax", "args": [f, c]}, [BASE | {"steps": 20, "etas": (1.0,), "seeds": 2} | x for x in s])
 
 
 @query("w2_hidden_layer_char_model")
 def w2_hidden_layer_char_model(spark, d):
     """The same texts with a hidden layer: dense, true top-k, and a sketch at 40 times with large P."""
-    data = char_data(spark, d)
+    data = char_data(spark, d)[:2]
     _, f, c = data[0][0].shape
     n, k = f * 8 + 8 + 8 * c + c, 80
     s = [{"name": "dense", "method": "dense"}, {"name": "true_top_k", "method": "true_top_k", "k": k}, {"name": "sketch_40x_p12", "method": "sketch", "k": k, "p": 12, "rows": 5, "cols": cols_for(n, k, 12, 40)}]
-    return sweep(spark, data, {"kind": "context_mlp", "args": [f, 8, c]}, [BASE | {"steps": 20, "etas": (0.1, 0.3)} | x for x in s])
+    return sweep(spark, data, {"kind": "context_mlp", "args": [f, 8, c]}, [BASE | {"steps": 20, "etas": (0.3,), "seeds": 2} | x for x in s])
 
 
 @query("w3_true_top_k_sweep")
@@ -240,3 +253,94 @@ def w10_strongly_convex(spark, d):
 
     grid = [(k, t) for k in (1, 2, 4, 8) for t in (50, 200, 800)]
     return spark.createDataFrame(grid, "k int, T int").repartition(len(grid)).mapInPandas(run, "k int, T int, excess double, sd double")
+
+
+def char_settings(f: int, c: int) -> list[dict]:
+    """Two models (one as large as the contexts allow, one with a hidden layer) by the methods of the score table."""
+    one, two = (f + 1) * c, f * 8 + 8 + 8 * c + c
+    out = []
+    for model, d, k, shapes in (("softmax", one, 1000, ((20, 36, 5), (40, 16, 15))), ("hidden", two, 80, ((40, 12, 5),))):
+        base = {"model": model, "d": d, "workers": 4, "steps": 20, "batch": 256, "eta": 1.0 if model == "softmax" else 0.3}
+        out += [base | {"name": "dense", "method": "dense"}, base | {"name": "true_top_k", "method": "true_top_k", "k": k}]
+        out += [base | {"name": f"sketch_{x}x", "method": "sketch", "k": k, "p": p, "rows": r, "cols": cols_for(d, k, p, x, r)} for x, p, r in shapes]
+    return out
+
+
+RUNS = "model string, name string, method string, d long, r int, c int, P int, k int, factor double, train_loss double, test_loss double, curve array<double>, classes array<int>"
+
+
+def char_runs(spark, train, test):
+    """One run of each setting on all places: its measures, curve, and the letter it expects in each context."""
+    _, f, c = train[0].shape
+
+    def run(frames):
+        for pdf in frames:
+            for text in pdf["setting"]:
+                s = json.loads(text)
+                model, name, d = s.pop("model"), s.pop("name"), s.pop("d")
+                net = SIM.ContextSoftmax(f, c) if model == "softmax" else SIM.ContextMlp(f, 8, c)
+                with np.errstate(all="ignore"):
+                    got = SIM.simulate(net, train, test, keep=True, **s)
+                row = {"model": model, "name": name, "method": s["method"], "d": d, "r": s.get("rows", 0), "c": s.get("cols", 0), "P": s.get("p", 0), "k": s.get("k", 0)}
+                yield pd.DataFrame([row | {x: got[x] for x in ("factor", "train_loss", "test_loss", "curve")} | {"classes": net.best_classes(got["w"]).astype(np.int32)}])
+
+    jobs = spark.createDataFrame([(json.dumps(s),) for s in char_settings(f, c)], "setting string")
+    return commit(jobs.repartition(7).mapInPandas(run, RUNS), "char-runs")
+
+
+def expected_text_bleu(spark, d, runs, known: np.ndarray):
+    """(model, name, bleu): held-out texts against the characters that each run expects, given the true ones before.
+
+    Every character is a token; n-grams up to four are clipped inside a document.
+    """
+    rows = runs.select("model", "name", "classes").toArrow().to_pylist()  # one short array per setting
+    tables = [(r["model"], r["name"], np.r_[known, np.full(len(r["classes"]), -1)][np.array(r["classes"])]) for r in rows]
+
+    def grams(p: np.ndarray, n: int) -> np.ndarray:
+        out = p[: len(p) - n + 1].astype(np.int64)
+        for j in range(1, n):
+            out = (out * 1_000_003 + p[j : len(p) - n + 1 + j] + 7) % (2**61 - 1) % (2**40)
+        return out
+
+    def run(batches):
+        sums = {(m, x, n): [0, 0] for m, x, _ in tables for n in range(1, 5)}
+        for b in batches:
+            for text in b.column("t").to_pylist():
+                ctx, point = char_places(text)
+                for n in range(1, 5):
+                    want, wanted = np.unique(grams(point, n), return_counts=True) if len(point) >= n else (np.zeros(0, np.int64),) * 2
+                    for m, x, letters in tables:
+                        have, had = np.unique(grams(letters[ctx], n), return_counts=True) if len(point) >= n else (np.zeros(0, np.int64),) * 2
+                        at = np.minimum(np.searchsorted(want, have), max(len(want) - 1, 0))
+                        hit = want[at] == have if len(want) else np.zeros(0, bool)
+                        own = sums[m, x, n]
+                        own[0] += int(np.minimum(had, wanted[at])[hit].sum()) if len(want) else 0
+                        own[1] += int(had.sum())
+        rows = [(*k, *v) for k, v in sums.items()]
+        yield pa.RecordBatch.from_arrays([pa.array(c) for c in zip(*rows, strict=True)], ["model", "name", "n", "matched", "total"])
+
+    pieces = char_documents(spark, d).where("test").select("t").mapInArrow(run, "model string, name string, n long, matched long, total long")
+    pieces = pieces.groupBy("model", "name", "n").agg(F.sum("matched").alias("matched"), F.sum("total").alias("total"))
+    log = F.log(F.col("matched") / F.greatest("total", F.lit(1)))
+    # candidate and reference are equally long: no brevity penalty
+    return pieces.groupBy("model", "name").agg(F.when(F.min("matched") > 0, F.exp(F.avg(log)) * 100).otherwise(0.0).alias("bleu"))
+
+
+@query("w9_score_summary")
+def w9_score_summary(spark, d):
+    """The score table: method, sketch shape, P, k, compression factor, BLEU of held-out German texts, for two models."""
+    train, test, known = char_data(spark, d)
+    runs = char_runs(spark, train, test)
+    rows = runs.drop("curve", "classes").join(expected_text_bleu(spark, d, runs, known), ["model", "name"])
+    return rows.select("model", "name", "d", "r", "c", "P", "k", F.round("factor", 2).alias("factor"), "train_loss", "test_loss", F.round("bleu", 3).alias("bleu"))
+
+
+@query("w1_learning_curves")
+def w1_learning_curves(spark, d):
+    """Training loss along the steps, and the steps each method takes to the level that true top-k ends at."""
+    train, test, _ = char_data(spark, d)
+    runs = char_runs(spark, train, test)
+    goal = runs.where("method = 'true_top_k'").select("model", F.element_at("curve", -1).alias("goal"))
+    rows = runs.join(F.broadcast(goal), "model").select("model", "name", F.posexplode("curve").alias("t", "train_loss"), "goal")
+    first = F.min(F.when(F.col("train_loss") <= F.col("goal"), F.col("t") + 1)).over(Window.partitionBy("model", "name"))
+    return rows.select("model", "name", (F.col("t") + 1).alias("t"), "train_loss", first.alias("steps_to_goal"))

@@ -289,9 +289,13 @@ def norm_of_merged(spark, d):
     return S.norm2(S.merge(S.sketch(X.planted_part_revenue(spark, d), FAM, by=["worker"])))
 
 
-@query("map_vector_add")
+@query(
+    "map_vector_add",
+    f"SELECT g, coord, CAST(sum(delta) AS BIGINT) AS total FROM (SELECT coord % 10 AS g, coord, delta FROM ({X.f1(2)}) WHERE coord < 500) GROUP BY g, coord",
+)
 def map_vector_add(spark, d):
     """Two sparse vectors as maps, added key by key."""
     v = X.signed_part_revenue(spark, d, 2).where("coord < 500").groupBy("worker", "coord").agg(F.sum("delta").alias("s"))
     maps = v.groupBy((F.col("coord") % 10).alias("g")).agg(*(F.map_from_entries(F.collect_list(F.when(F.col("worker") == w, F.struct("coord", "s")))).alias(f"m{w}") for w in (0, 1)))
-    return maps.select("g", F.map_zip_with("m0", "m1", lambda k, a, b: F.coalesce(a, F.lit(0)) + F.coalesce(b, F.lit(0))).alias("total"))
+    total = F.map_zip_with("m0", "m1", lambda k, a, b: F.coalesce(a, F.lit(0)) + F.coalesce(b, F.lit(0)))
+    return maps.select("g", F.explode(total).alias("coord", "total"))

@@ -53,13 +53,20 @@ def stream_windowed_sketch(spark, d):
     return rows.select(F.col("window.start").alias("window_start"), "row", "bucket", "cell")
 
 
-@query("stream_sliding_sketch")
+SLIDING = f"(SELECT date_trunc('day', ts) - to_days(k.back) AS window_start, coord, delta FROM ({F4}) CROSS JOIN (VALUES (0), (1)) AS k(back))"
+
+
+@query("stream_sliding_sketch", f"SELECT window_start, row, bucket, CAST(sum(delta * sign) AS BIGINT) AS cell FROM ({FAM.sql_cells(SLIDING, keep='window_start, delta')}) GROUP BY window_start, row, bucket")
 def stream_sliding_sketch(spark, d):
     rows = drained(spark, ST.stream_sketch(updates(replay(spark, d)), FAM, "ts", "2 days", "1 day", watermark="40 days"), "complete")
     return rows.select(F.col("window.start").alias("window_start"), "row", "bucket", "cell")
 
 
-@query("stream_session_sketch")
+@query(
+    "stream_session_sketch",
+    f"""SELECT min(ts) AS start, row, bucket, CAST(sum(delta * sign) AS BIGINT) AS cell FROM (SELECT *, sum(fresh) OVER (PARTITION BY row, bucket ORDER BY ts ROWS UNBOUNDED PRECEDING) AS s FROM
+    (SELECT *, CASE WHEN ts <= lag(ts) OVER (PARTITION BY row, bucket ORDER BY ts) + INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM ({FAM.sql_cells(f'({F4})', keep='ts, delta')}))) GROUP BY row, bucket, s""",
+)
 def stream_session_sketch(spark, d):
     return drained(spark, ST.session_sketch(updates(replay(spark, d)), FAM, "ts", "30 minutes", "40 days"), "complete").select(F.col("session_window.start").alias("start"), "row", "bucket", "cell")
 
@@ -79,7 +86,10 @@ def stream_dedup(spark, d):
     return drained(spark, twice.select("event_id"), "append").agg(F.count("*").alias("n"))
 
 
-@query("stream_stream_join")
+@query(
+    "stream_stream_join",
+    "SELECT a.event_id AS first_id, b.event_id AS next_id FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 30 MINUTE WHERE a.event_type = 'error' AND b.event_type <> 'error'",
+)
 def stream_stream_join(spark, d):
     s = replay(spark, d)
     return drained(spark, ST.follow_ups(s.where("event_type = 'error'"), replay(spark, d).where("event_type <> 'error'"), 30, "40 days"), "append")
@@ -98,11 +108,11 @@ def stream_residuals(spark, d):
     return drained(spark, ST.keep_residuals(updates(replay(spark, d)), 20_000.0), "update")
 
 
-@query("udtf_sketch_rows", f"SELECT row, bucket, CAST(cell AS DOUBLE) AS cell FROM ({cells_sql(f'SELECT coord, delta FROM ({X.f1()}) WHERE coord < 20')})")
+@query("udtf_sketch_rows", f"SELECT row, bucket, CAST(cell AS DOUBLE) AS cell FROM ({cells_sql(X.f1())})")
 def udtf_sketch_rows(spark, d):
-    """The table function from SQL, for updates of twenty parts."""
+    """The table function from SQL, for the updates of all parts, summed per part before."""
     udfs.register_all(spark, FAM)
-    X.signed_part_revenue(spark, d).where("coord < 20").createOrReplaceTempView("updates")
+    X.signed_part_revenue(spark, d).groupBy("coord").agg(F.sum("delta").alias("delta")).createOrReplaceTempView("updates")
     return spark.sql("SELECT s.row, s.bucket, sum(s.cell) AS cell FROM updates, LATERAL sketch_rows(coord, CAST(delta AS DOUBLE)) s GROUP BY s.row, s.bucket")
 
 
