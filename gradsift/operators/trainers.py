@@ -26,6 +26,14 @@ def initial_weights(spark, d: int, seed: int = 0, scale: float = 0.0) -> DataFra
     return spark.range(d).select(F.col("id").alias("coord"), (u * scale).alias("w"))
 
 
+def shard(examples: DataFrame, workers: int, by: str = "example") -> DataFrame:
+    """Deals examples to logical workers: evenly by ``example``, or skewed by ``key`` (a column key, whose values stay together)."""
+    if by not in ("example", "key"):
+        raise ValueError("by is 'example' or 'key'")
+    at = F.pmod(F.col("key"), F.lit(workers)) if by == "key" else F.pmod(F.xxhash64("ex_id"), F.lit(workers))
+    return examples.withColumn("worker", at.cast("int"))
+
+
 def apply_update(w: DataFrame, update: DataFrame, eta: float, count: int) -> DataFrame:
     """w - eta * update; the update is sparse and broadcast within the limit."""
     u = small(update.select("coord", F.col("exact").alias("_e")), count)

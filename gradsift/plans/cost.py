@@ -64,9 +64,3 @@ def rounds(method: str) -> int:
 
 
 #: Growth of per-worker traffic with the size of the model and the number of workers.
-ASYMPTOTIC = [
-    ("dense", "d", "2 d, constant in workers"),
-    ("true_top_k", "d", "d up, k down"),
-    ("local_top_k", "W", "k up, up to min(k W, d) down"),
-    ("sketch", "log d", "k log d, constant in workers"),
-]

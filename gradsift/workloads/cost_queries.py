@@ -67,9 +67,42 @@ def comm_vs_workers(spark, d):
     return spark.createDataFrame(rows, "W int, sketch int, local_top_k int, dense int")
 
 
-@query("asymptotic_table", "SELECT * FROM (VALUES " + ", ".join(f"('{a}', '{b}', '{c}')" for a, b, c in C.ASYMPTOTIC) + ") AS t(method, growth, note)")
+_SIDE = "(CAST(ceil(ln({d} / 0.01::DOUBLE)) AS BIGINT) + 1 - CAST(ceil(ln({d} / 0.01::DOUBLE)) AS BIGINT) % 2) * 4000 + 5000"
+
+
+@query(
+    "asymptotic_table",
+    f"""SELECT method, round(b / CAST(a AS DOUBLE), 6) AS by_parameters, round(c / CAST(a AS DOUBLE), 6) AS by_workers FROM (VALUES
+    ('dense', 2 * 1000000, 2 * 100000000, 2 * 1000000), ('true_top_k', 1000000 + 1000, 100000000 + 1000, 1000000 + 1000),
+    ('local_top_k', 1000 + 16000, 1000 + 16000, 1000 + least(256 * 1000, 1000000)),
+    ('sketch', {_SIDE.format(d=1000000)}, {_SIDE.format(d=100000000)}, {_SIDE.format(d=1000000)})) AS t(method, a, b, c)""",
+)
 def asymptotic_table(spark, d):
-    return spark.createDataFrame(C.ASYMPTOTIC, "method string, growth string, note string")
+    """Growth of the numbers a worker sends and gets: 100 times the parameters (10^6 to 10^8), 16 times the workers (16 to 256)."""
+    from gradsift.operators.sketch import size_for
+
+    k, p, small, large = 1000, 4, 10**6, 10**8
+    sketch = lambda n: C.comm_sketch(*size_for(k, n, 0.01), p, k)
+    local = lambda n, w: C.comm_local(k, C.local_union_cap(k, w, n))
+    costs = {"dense": lambda n, w: C.comm_dense(n), "true_top_k": lambda n, w: C.comm_true_top_k(n, k), "local_top_k": local, "sketch": lambda n, w: sketch(n)}
+    rows = [(m, round(f(large, 16) / f(small, 16), 6), round(f(small, 256) / f(small, 16), 6)) for m, f in costs.items()]
+    return spark.createDataFrame(rows, "method string, by_parameters double, by_workers double")
+
+
+@query("merge_measured")
+def merge_measured(spark, d):
+    """Records and bytes that merging the sketches of 4, 16 and 64 workers exchanged, by the metrics of its stages, and the most there can be."""
+    from gradsift.operators import sketch as S
+    from gradsift.plans.durable import commit
+    from gradsift.plans.measure import exchanged
+    from gradsift.workloads import fixtures as X
+
+    rows = []
+    for w in (4, 16, 64):
+        cells = commit(S.sketch(X.signed_part_revenue(spark, d, w), X.FAM, by=["worker"]), "cells")
+        records, size = map(sum, zip(*exchanged(S.merge(cells)), strict=True))
+        rows.append((w, records, size, w * X.FAM.rows * X.FAM.cols))
+    return spark.createDataFrame(rows, "W int, records long, bytes long, most long")
 
 
 @query(

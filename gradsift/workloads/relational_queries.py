@@ -158,11 +158,42 @@ def group_range_join(spark, d):
     return total.join(g, (F.col("coord") >= F.col("lo")) & (F.col("coord") < F.col("hi"))).groupBy("name", "compressed").agg(F.count("*").alias("n"), F.sum("value").alias("value"))
 
 
-@query("bias_exempt_sketch", f"SELECT CASE WHEN coord < 50 THEN 'dense' ELSE 'compressed' END AS part, count(*) AS updates FROM ({X.f1()}) GROUP BY 1")
+@query(
+    "bias_exempt_sketch",
+    f"""SELECT 'compressed' AS part, row, bucket, CAST(sum(delta * sign) AS BIGINT) AS value FROM ({X.FAM.sql_cells(f"(SELECT coord, delta FROM ({X.f1()}) WHERE coord >= 50)", keep="delta")}) GROUP BY row, bucket
+    UNION ALL SELECT 'dense', -1, CAST(coord AS INTEGER), CAST(sum(delta) AS BIGINT) FROM ({X.f1()}) WHERE coord < 50 GROUP BY coord""",
+)
 def bias_exempt_sketch(spark, d):
+    """What is sent when the first coordinates go uncompressed: the cells of the others, and their own sums (row -1)."""
     packed, dense = R.split_groups(X.signed_part_revenue(spark, d), param_groups(spark))
-    n = lambda df, name: df.agg(F.count("*").alias("updates")).select(F.lit(name).alias("part"), "updates")
-    return n(packed, "compressed").unionByName(n(dense, "dense"))
+    cells = S.sketch(packed, X.FAM).select(F.lit("compressed").alias("part"), "row", "bucket", F.col("cell").alias("value"))
+    own = dense.groupBy("coord").agg(F.sum("delta").alias("value"))
+    return cells.unionByName(own.select(F.lit("dense").alias("part"), F.lit(-1).alias("row"), F.col("coord").cast("int").alias("bucket"), "value"))
+
+
+KINDS = ["click", "error", "purchase", "signup", "view"]
+
+
+@query(
+    "one_hot_events",
+    "SELECT user_id, " + ", ".join(f"CAST(sum(CASE WHEN event_type = '{k}' THEN 1 ELSE 0 END) AS BIGINT) AS {k}" for k in KINDS) + ", CAST(sum(CASE WHEN event_type IN (" + ", ".join(f"'{k}'" for k in KINDS) + ") THEN 0 ELSE 1 END) AS BIGINT) AS other FROM events GROUP BY user_id",
+)
+def one_hot_events(spark, d):
+    """Event kinds as one-hot vectors (the last place is for any other kind), added up by user."""
+    place = F.coalesce(F.nullif(F.array_position(F.array(*map(F.lit, KINDS)), F.col("event_type")), F.lit(0)), F.lit(len(KINDS) + 1))
+    hot = F.transform(F.sequence(F.lit(1), F.lit(len(KINDS) + 1)), lambda i: (i == place).cast("long"))
+    rows = load_table(spark, d, "events").select("user_id", hot.alias("x"))
+    return rows.groupBy("user_id").agg(*(F.sum(F.get("x", F.lit(i))).alias(k) for i, k in enumerate([*KINDS, "other"])))
+
+
+@query(
+    "approx_distinct_parts",
+    "SELECT CAST(l_orderkey % 4 AS INTEGER) AS worker, count(DISTINCT l_partkey) AS exact, true AS near FROM lineitem GROUP BY 1",
+)
+def approx_distinct_parts(spark, d):
+    """Coordinates that each worker touches: counted, and estimated within five per cent by the built-in sketch."""
+    rows = X.signed_part_revenue(spark, d).groupBy("worker").agg(F.countDistinct("coord").alias("exact"), F.approx_count_distinct("coord", 0.01).alias("estimate"))
+    return rows.select("worker", "exact", (F.abs(F.col("estimate") - F.col("exact")) <= 0.05 * F.col("exact")).alias("near"))
 
 
 @query(

@@ -100,3 +100,57 @@ def test_bleu(spark):
     rows = {r.n: r for r in Q.corpus_bleu(pairs).collect()}
     assert (rows[1].matched, rows[1].total, rows[4].matched, rows[4].total) == (8, 9, 2, 3)
     assert Q.corpus_bleu(pairs.where("pair_id = 1")).first().score == pytest.approx(100.0)
+
+
+def test_hidden_layer_loss_equals_its_kernel(spark):
+    rnd = np.random.default_rng(8)
+    x, y, worker = rnd.normal(size=(60, 6)) * (rnd.random((60, 6)) < 0.5), rnd.integers(0, 3, 60), rnd.integers(0, 3, 60)
+    rows = [(i, int(worker[i]), int(y[i]), [(j, float(x[i, j])) for j in np.flatnonzero(x[i]).tolist()]) for i in range(60)]
+    df = spark.createDataFrame(rows, "ex_id long, worker int, y int, x array<struct<coord:bigint,val:double>>").repartition(4)
+    loss = L.MlpLoss(6, 4, 3)
+    w = loss.start(spark, 3)
+    at = loss.net.start(3)
+    got = {(r.worker, r.coord): r.g for r in loss.gradient(df, w, loss.d).collect()}
+    assert len(got) == 3 * loss.d
+    for k in range(3):
+        want = loss.net.gradient(at, x[worker == k], y[worker == k])
+        assert np.allclose([got[k, j] for j in range(loss.d)], want)
+    measured = loss.evaluate(df, w, loss.d).first()
+    assert (measured.loss, measured.accuracy) == pytest.approx(loss.net.evaluate(at, x, y))
+    run = T.train_momentum(df, loss, loss.d, 12, 3, 3, 0.3, 0.9, 3, HashFamily(5, 16, 1), w0=w, evaluate=df)
+    losses = [v for _, n, v in run.metrics if n == "loss"]
+    assert losses[-1] < measured.loss
+
+
+def test_clipping_warm_up_and_sharding(spark, data):
+    x, y, df = data
+    g = spark.createDataFrame([(0, 0, 3.0), (0, 1, 4.0), (1, 0, 0.3)], "worker int, coord long, g double")
+    assert {(r.worker, r.coord): round(r.g, 9) for r in T.clipped(g, 1.0).collect()} == {(0, 0): 0.6, (0, 1): 0.8, (1, 0): 0.3}
+    k = T.sparsity_warmup(1000, 10, 4)
+    assert [k(t) for t in range(1, 7)] == [316, 100, 32, 10, 10, 10]
+    run = T.train_local_top_k(df, L.RidgeLoss(), 5, T.sparsity_warmup(5, 1, 2), 3, 2, eta=0.01, clip=0.5)
+    assert [v for _, n, v in run.metrics if n == "numbers"][-1] <= 1 + 2
+    skewed = T.shard(df.withColumn("key", F.col("ex_id") % 2 * 2), 4, "key")
+    assert {r.worker for r in skewed.collect()} == {0, 2} and {r.worker for r in T.shard(df, 4).collect()} == {0, 1, 2, 3}
+
+
+def test_only_two_versions_of_a_table_stay(spark, data, tmp_path):
+    from pathlib import Path
+
+    from gradsift.plans.durable import shared_dir
+
+    folder = Path(shared_dir(spark).removeprefix("file:"))
+    before = set(folder.iterdir()) if folder.exists() else set()
+    run = T.train_momentum(data[2], L.RidgeLoss(0.1), 5, 2, 5, 2, 0.05, 0.9, 2, HashFamily(5, 16, 1))
+    kept = [p.name.split("-")[0] for p in set(folder.iterdir()) - before]
+    assert sorted(kept) == ["state", "state", "update", "update", "w", "w"] and run.state.count() == 10 and run.w.count() == 5
+
+
+def test_merging_exchanges_no_more_than_the_cells(spark):
+    from gradsift.operators import sketch as S
+    from gradsift.plans.measure import exchanged
+
+    fam = HashFamily(3, 8, 1)
+    v = spark.range(1000).selectExpr("cast(id % 4 as int) as worker", "id % 200 as coord", "id as delta")
+    (records, size), *more = exchanged(S.sketch(v, fam))
+    assert not more and size > 0 and records <= 4 * 3 * 8
