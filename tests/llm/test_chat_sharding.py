@@ -59,3 +59,24 @@ def test_shards(spark, n, part):
     assert max(map(len, by.values())) - min(map(len, by.values())) <= 1
     order = sorted((r.shard, r.curve) for r in got)
     assert [c for _, c in order] == sorted(c for _, c in order)
+
+
+def test_places_follow_the_order_of_values(spark):
+    rows = [(v,) for v, n in {"a": 500, "b": 10, "c": 90, "d": 200, "e": 200}.items() for _ in range(n)] + [(None,)]
+    df = spark.createDataFrame(rows, "v string").repartition(4)
+    first = sharding.first_values(df, F.col("v"), 2)
+    assert first == [(3, "e"), (2, "b")]
+    got = dict(df.select("v", sharding.place_of(F.col("v"), first)).distinct().collect())
+    assert [got[v] for v in "abcde"] == [0, 2, 2, 2, 3] and got[None] == 0
+
+
+def test_files_are_skipped_by_every_dimension(spark):
+    rnd = random.Random(11)
+    rows = [(i, "x" * int(2 ** rnd.uniform(3, 13)), rnd.choice(["de", "en", "es", "fr"]), "s00" if rnd.random() < 0.33 else f"s{rnd.randrange(1, 20):02}") for i in range(3000)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string").repartition(4)
+    stats = sharding.shard_statistics(df, sharding.hilbert_shards(df, 24)).collect()
+    assert len(stats) == 24
+    read = lambda c, v: sum(r[f"min_{c}"] <= v <= r[f"max_{c}"] for r in stats) / 24
+    mean = {"lang": [read("lang", v) for v in ("de", "en", "es", "fr")], "source": [read("source", v) for v in sorted({r[3] for r in rows})], "size": [read("size", 8 + int(2**e)) for e in range(3, 13)]}
+    mean = {c: sum(v) / len(v) for c, v in mean.items()}
+    assert all(v < 0.6 for v in mean.values()) and sum(mean.values()) < 1.65, mean
