@@ -2,14 +2,19 @@
 
 Base counts come from array functions over each text.  Documents that pass the base rules get a
 vector of transformed statistics in fixed point; per language and source a minimum covariance
-determinant estimate is found by concentration steps: from the coordinate medians, the share
-``coverage`` of rows with the smallest distance is kept, centre and covariance are taken anew from
-them, and so on; a last step re-weights with the rows inside the 97.5 % quantile.  A document is
-rejected when its squared Mahalanobis distance exceeds the quantile ``accept`` of the chi-square
-law.  Moments are exact sums of integers and the kept share is cut by a histogram of distances, so
-every step is one aggregation over all rows, equal for any partitioning.  A floor is added to each
-variance, as most documents have no symbols or repeated lines at all.  Groups of fewer than
-``least`` rows use the rows of all small groups of their language, and if these are too few, of all.
+determinant estimate is found.  Several starts (coordinate medians, and two subsets chosen by hash)
+take two concentration steps each: the share ``coverage`` of rows with the smallest distance is kept,
+centre and covariance are taken anew from them.  The start with the smallest determinant goes on
+until its determinant no longer falls; a last step re-weights with the rows inside the 97.5 %
+quantile.  A document is rejected when its squared Mahalanobis distance exceeds the quantile
+``accept`` of the chi-square law.
+
+A covariance is regularised as if ``PRIOR`` further rows had that of the language (which itself is
+estimated in the same way, with a fixed diagonal as its prior), so small groups lean on their language
+and large ones on their rows, by one formula at every size.  Each variance has a floor besides, as
+most documents have no symbols or repeated lines at all.  Moments are exact sums of integers and
+the kept share is cut by a histogram of distances, so every step is one aggregation over all rows,
+equal for any partitioning.
 
 Defined results: null or blank text has no words and fails the base rules; null language or source
 is a group of its own; repeated rows get equal verdicts; a null id keeps its row; further columns
@@ -31,6 +36,11 @@ UNIT = 1000
 #: Statistic vector and the standard deviation added to each coordinate.
 FLOORS = {"x_length": 0.30, "x_word": 0.30, "x_symbols": 0.60, "x_lines": 0.60, "x_repeats": 0.60}
 X = list(FLOORS)
+#: Rows that the prior covariance counts for, and rows that the language's centre counts for.
+PRIOR, PRIOR_CENTRE = 50, 5
+#: Concentration steps of every start, and most of the chosen one; a fall of the log determinant that ends them.
+FIRST_STEPS, MOST_STEPS, FALL = 2, 12, 5e-3
+KEYS = ["grp", "start"]
 
 
 def chi2_cdf(x: float, k: float) -> float:
@@ -93,10 +103,10 @@ def base_counts(docs: DataFrame, keep: list[str]) -> DataFrame:
 
 
 def statistic_vector() -> list[Column]:
-    """Transformed statistics in fixed point: logarithms and means of counts per word."""
+    """Transformed statistics in fixed point: logarithms of the length, of the mean word (changes by 1 for a letter at 5) and of counts per word."""
     n = F.greatest(F.col("n_words"), F.lit(1))
     per = lambda c: F.log1p(100.0 * F.col(c) / n)
-    raw = [F.log1p("n_words"), F.col("word_chars") / n, per("n_symbols"), per("n_dup_lines"), per("n_repeat_words")]
+    raw = [F.log1p("n_words"), 5 * F.log(F.greatest(F.col("word_chars"), F.lit(1)) / n), per("n_symbols"), per("n_dup_lines"), per("n_repeat_words")]
     return [F.round(c * UNIT).cast("long").alias(x) for c, x in zip(raw, X, strict=True)]
 
 
@@ -104,82 +114,110 @@ def _pairs() -> list[tuple[int, int]]:
     return [(i, j) for i in range(len(X)) for j in range(i + 1)]
 
 
-def _estimate(rows: DataFrame, scale: float) -> DataFrame:
-    """grp, centre m0.. and Cholesky factor c_i_j of the scaled covariance with floors."""
-    d = lambda c: c.cast("decimal(38,0)")
-    sums = [F.sum(d(F.col(x))).cast("double").alias(f"s{i}") for i, x in enumerate(X)]
-    sums += [F.sum(d(F.col(X[i]) * F.col(X[j]))).cast("double").alias(f"s{i}_{j}") for i, j in _pairs()]
-    g = materialise(rows.groupBy("grp").agg(F.count("*").alias("n"), *sums), "mcd-sums")
-    g = g.select("grp", *((F.col(f"s{i}") / F.col("n") / UNIT).alias(f"m{i}") for i in range(len(X))), "n", *(f"s{i}_{j}" for i, j in _pairs()))
-    for i, j in _pairs():
-        cov = (F.col(f"s{i}_{j}") / F.col("n") / UNIT**2 - F.col(f"m{i}") * F.col(f"m{j}")) * F.lit(scale)
-        cov = F.greatest(cov, F.lit(0.0)) + F.lit(FLOORS[X[i]] ** 2) if i == j else cov
-        g = g.withColumn(f"v{i}_{j}", cov)
-    g = materialise(g, "mcd-cov")
-    for i in range(len(X)):
-        for j in range(i + 1):
-            rest = F.col(f"v{i}_{j}")
-            for k in range(j):
-                rest = rest - F.col(f"c{i}_{k}") * F.col(f"c{j}_{k}")
-            g = g.withColumn(f"c{i}_{j}", F.sqrt(F.greatest(rest, F.lit(1e-9))) if i == j else rest / F.col(f"c{j}_{j}"))
-    return materialise(g.select("grp", *(f"m{i}" for i in range(len(X))), *(f"c{i}_{j}" for i, j in _pairs())), "mcd-factor")
-
-
-def _distance(rows: DataFrame, model: DataFrame) -> DataFrame:
+def _estimate(rows: DataFrame, scale: float, prior: DataFrame, groups: int) -> DataFrame:
+    """Per grp and start of rows: centre m0.., covariance v_i_j, Cholesky factor c_i_j with floors, log determinant.
+
+    prior: (grp, rows p_n that its centre counts for, centre p_m0.., covariance p_v0_0..) of every grp,
+    of which there are ``groups``.
+    """
+    # statistics stay below 2^17, so sums of products are exact for 2^29 rows of the largest values and 10^11 usual ones
+    sums = ["cast(count(*) as double) as n", *(f"cast(sum({x}) as double) as s{i}" for i, x in enumerate(X))]
+    sums += [f"cast(sum({X[i]} * {X[j]}) as double) as s{i}_{j}" for i, j in _pairs()]
+    g = rows.groupBy(*KEYS).agg(*map(F.expr, sums)).join(maybe_broadcast(prior, groups, 100_000), "grp")
+    mean = [f"s{i} / n / {UNIT}" for i in range(len(X))]
+    cov = [f"(n * {scale!r}D * (s{i}_{j} / n / {UNIT**2} - {mean[i]} * {mean[j]}) + {PRIOR} * p_v{i}_{j}) / (n + {PRIOR}) as v{i}_{j}" for i, j in _pairs()]
+    centre = [f"(n * ({mean[i]}) + p_n * p_m{i}) / (n + p_n) as m{i}" for i in range(len(X))]
+    g = g.selectExpr(*KEYS, *centre, *cov)
+    for j in range(len(X)):  # one column of the factor at a time
+        left = {i: f"v{i}_{j}" + (f" + {FLOORS[X[i]] ** 2!r}D" if i == j else "") + "".join(f" - c{i}_{k} * c{j}_{k}" for k in range(j)) for i in range(j, len(X))}
+        root = f"sqrt(greatest({left[j]}, 1e-9D))"
+        g = g.selectExpr("*", *(f"{root} as c{i}_{j}" if i == j else f"({left[i]}) / {root} as c{i}_{j}" for i in left))
+    return g.selectExpr("*", "2 * (" + " + ".join(f"ln(c{i}_{i})" for i in range(len(X))) + ") as logdet")
+
+
+def _distance(rows: DataFrame, model: DataFrame, groups: int) -> DataFrame:
     """Adds d2, the squared Mahalanobis distance, by forward substitution."""
-    out = rows.join(maybe_broadcast(model, model.count(), 100_000), "grp")
+    factor = model.selectExpr(*KEYS, *(f"m{i}" for i in range(len(X))), *(f"c{i}_{j}" for i, j in _pairs()))
+    out = rows.join(maybe_broadcast(factor, groups, 100_000), KEYS)
     for i, x in enumerate(X):
-        y = F.col(x) / F.lit(float(UNIT)) - F.col(f"m{i}")
-        for k in range(i):
-            y = y - F.col(f"c{i}_{k}") * F.col(f"y{k}")
-        out = out.withColumn(f"y{i}", y / F.col(f"c{i}_{i}"))
-    d2 = sum((F.col(f"y{i}") * F.col(f"y{i}") for i in range(1, len(X))), F.col("y0") * F.col("y0"))
-    return out.withColumn("d2", d2).select(*rows.columns, "d2")
+        y = f"{x} / {UNIT}D - m{i}" + "".join(f" - c{i}_{k} * y{k}" for k in range(i))
+        out = out.selectExpr("*", f"({y}) / c{i}_{i} as y{i}")
+    return out.selectExpr(*rows.columns, " + ".join(f"y{i} * y{i}" for i in range(len(X))) + " as d2")
 
 
-def _closest(rows: DataFrame, coverage: float) -> DataFrame:
+def _closest(rows: DataFrame, coverage: float, groups: int) -> DataFrame:
     """Rows of each group up to the distance that ``coverage`` of them do not exceed."""
-    rows = rows.withColumn("bin", F.floor(F.log2(F.lit(1.0) + F.col("d2")) * 64).cast("int"))
-    bins = rows.groupBy("grp", "bin").agg(F.count("*").alias("n"))
-    w = Window.partitionBy("grp")
-    bins = bins.withColumn("before", F.sum("n").over(w.orderBy("bin")) - F.col("n")).withColumn("all", F.sum("n").over(w))
-    cut = materialise(bins.where(F.col("before") < F.col("all") * coverage).groupBy("grp").agg(F.max("bin").alias("cut")), "mcd-cut")
-    return rows.join(maybe_broadcast(cut, cut.count(), 100_000), "grp").where("bin <= cut").drop("bin", "cut", "d2")
-
-
-def mcd_models(rows: DataFrame, coverage: float = 0.75, steps: int = 3) -> DataFrame:
-    """Estimates of every group of rows(grp, statistics)."""
-    p = len(X)
-    inner = chi2_quantile(coverage, p)
-    scale = coverage / chi2_cdf(inner, p + 2)
-    mid = rows.groupBy("grp").agg(*(F.percentile(F.round(F.col(x) / 20) * 20, 0.5).alias(f"q{i}") for i, x in enumerate(X)))
-    mid = materialise(mid, "mcd-median")
-    start = rows.join(maybe_broadcast(mid, mid.count(), 100_000), "grp")
-    d2 = sum((F.pow((F.col(x) - F.col(f"q{i}")) / F.lit(UNIT * 2 * FLOORS[x]), 2) for i, x in enumerate(X)), F.lit(0.0))
-    kept = _closest(start.withColumn("d2", d2).select(*rows.columns, "d2"), coverage)
-    for _ in range(steps):
-        model = _estimate(kept, scale)
-        kept = _closest(_distance(rows, model), coverage)
-    near = _distance(rows, _estimate(kept, scale)).where(F.col("d2") <= chi2_quantile(0.975, p)).drop("d2")
-    return _estimate(near, 0.975 / chi2_cdf(chi2_quantile(0.975, p), p + 2))
-
-
-def quality_verdicts(docs: DataFrame, coverage: float = 0.75, accept: float = 1 - 1e-7, least: int = 200) -> DataFrame:
+    names = [c for c in rows.columns if c != "d2"]
+    rows = rows.selectExpr(*names, "cast(floor(log2(1 + d2) * 64) as int) as bin")
+    bins = rows.groupBy(*KEYS, "bin").agg(F.count("*").alias("n"))
+    part = ", ".join(KEYS)
+    bins = bins.selectExpr(*KEYS, "bin", f"sum(n) over (partition by {part} order by bin) - n as before", f"sum(n) over (partition by {part}) as every")
+    cut = bins.where(f"before < every * {coverage!r}D").groupBy(*KEYS).agg(F.max("bin").alias("cut"))
+    return rows.join(maybe_broadcast(cut, groups, 100_000), KEYS).where("bin <= cut").select(*names)
+
+
+def _starts(rows: DataFrame, coverage: float, groups: int) -> DataFrame:
+    """Rows that each start keeps: the closest to the medians, and two subsets of an eighth."""
+    mid = rows.groupBy("grp").agg(*(F.expr(f"percentile(round({x} / 20) * 20, 0.5) as q{i}") for i, x in enumerate(X)))
+    near = rows.join(maybe_broadcast(mid, groups, 100_000), "grp")
+    d2 = " + ".join(f"power(({x} - q{i}) / {UNIT * 2 * FLOORS[x]!r}D, 2)" for i, x in enumerate(X))
+    near = near.selectExpr(*rows.columns, "0 as start", f"{d2} as d2")
+    eighth = f"cast(pmod(xxhash64(grp, {', '.join(X)}), 8) as int) as start"
+    return _closest(near, coverage, groups).unionByName(rows.selectExpr("*", eighth).where("start in (1, 2)"))
+
+
+def _best(models: DataFrame) -> DataFrame:
+    """Of each group the model with the smallest determinant, as start 0; fall: how far it lies below start 0."""
+    rest = [c for c in models.columns if c not in (*KEYS, "fall")]
+    best = models.groupBy("grp").agg(F.min(F.struct("logdet", "start", *(c for c in rest if c != "logdet"))).alias("x"), F.max(F.when(F.col("start") == 0, F.col("logdet"))).alias("old"))
+    return materialise(best.select("grp", F.lit(0).alias("start"), *(F.col(f"x.{c}").alias(c) for c in rest), (F.col("old") - F.col("x.logdet")).alias("fall")), "mcd-best")
+
+
+def mcd_models(rows: DataFrame, prior: DataFrame, groups: int, coverage: float = 0.75) -> DataFrame:
+    """Estimates of every group of rows(grp, statistics), as start 0; prior has the ``groups`` groups."""
+    p, many = len(X), 3 * groups
+    scale = coverage / chi2_cdf(chi2_quantile(coverage, p), p + 2)
+    every = rows.withColumn("start", F.explode(F.array(*(F.lit(i) for i in range(3)))))
+    kept = _starts(rows, coverage, many)
+    for _ in range(FIRST_STEPS - 1):
+        first = materialise(_estimate(kept, scale, prior, many), "mcd-start")
+        kept = _closest(_distance(every, first, many), coverage, many)
+    model, one = _best(_estimate(kept, scale, prior, many)), rows.withColumn("start", F.lit(0))
+    for _ in range(MOST_STEPS):
+        new = _estimate(_closest(_distance(one, model, groups), coverage, groups), scale, prior, groups)
+        model = _best(model.drop("fall").unionByName(new.withColumn("start", F.lit(1))))
+        fall = model.agg(F.max("fall")).first()[0]
+        if fall is None or fall < FALL:
+            break
+    model = model.drop("fall")
+    near = _distance(one, model, groups).where(F.col("d2") <= chi2_quantile(0.975, p)).drop("d2")
+    final = _estimate(near, 0.975 / chi2_cdf(chi2_quantile(0.975, p), p + 2), prior, groups)
+    # a group without rows near its centre keeps the model before
+    both = final.withColumn("_o", F.lit(0)).unionByName(model.withColumn("_o", F.lit(1)))
+    rest = [c for c in both.columns if c not in ("grp", "_o")]
+    both = both.groupBy("grp").agg(F.min(F.struct("_o", *rest)).alias("x")).select("grp", *(F.col(f"x.{c}").alias(c) for c in rest))
+    return materialise(both, "mcd-final")
+
+
+def quality_verdicts(docs: DataFrame, coverage: float = 0.75, accept: float = 1 - 1e-7) -> DataFrame:
     """doc_id, the base counts, base_failed, d2 (null if failed) and kept of every row."""
     keep = ["doc_id", "_lang", "_source"]
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("lang").cast("string"), F.lit("\0")).alias("_lang"), F.coalesce(F.col("source").cast("string"), F.lit("\0")).alias("_source"), "text")
-    rows = materialise(base_counts(docs, keep), "quality-counts")
-    good = rows.where(~F.col("base_failed"))
-    groups = good.groupBy("_lang", "_source").agg(F.count("*").alias("n"))
-    by_lang = Window.partitionBy("_lang")
-    groups = groups.withColumn("rest", F.sum(F.when(F.col("n") < least, F.col("n"))).over(by_lang))
-    name = F.when(F.col("n") >= least, F.to_json(F.array("_lang", "_source"))).when(F.col("rest") >= least, F.to_json(F.array("_lang"))).otherwise(F.lit("[]"))
-    groups = materialise(groups.select("_lang", "_source", name.alias("grp")), "quality-groups")
-    small = maybe_broadcast(groups, groups.count(), 100_000)
-    vectors = materialise(good.join(small, ["_lang", "_source"]).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "grp", *statistic_vector()), "quality-vectors")
-    models = mcd_models(vectors.select("grp", *X), coverage)
     counts = ["doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed"]
-    judged = _distance(vectors, models).select(*counts, "d2", (F.col("d2") <= chi2_quantile(accept, len(X))).alias("kept"))
+    rows = materialise(base_counts(docs, keep), "quality-counts")
+    good = rows.where(~F.col("base_failed")).select(*counts, F.to_json(F.array("_lang")).alias("lang"), F.to_json(F.array("_lang", "_source")).alias("grp"), *statistic_vector())
+    vectors = materialise(good, "quality-vectors")
+    groups = materialise(vectors.select("lang", "grp").distinct(), "quality-groups")
+    wide = [F.lit((2 * FLOORS[X[i]]) ** 2 if i == j else 0.0).alias(f"p_v{i}_{j}") for i, j in _pairs()]
+    prior = groups.select(F.col("lang").alias("grp")).distinct().select("grp", F.lit(0.0).alias("p_n"), *(F.lit(0.0).alias(f"p_m{i}") for i in range(len(X))), *wide)
+    prior = materialise(prior, "quality-prior")
+    langs = mcd_models(vectors.select(F.col("lang").alias("grp"), *X), prior, prior.count(), coverage)
+    shape = [*(F.col(f"m{i}").alias(f"p_m{i}") for i in range(len(X))), *(F.col(f"v{i}_{j}").alias(f"p_v{i}_{j}") for i, j in _pairs())]
+    prior = groups.join(langs.withColumnRenamed("grp", "lang"), "lang").select("grp", F.lit(float(PRIOR_CENTRE)).alias("p_n"), *shape)
+    n = groups.count()
+    models = mcd_models(vectors.select("grp", *X), materialise(prior, "quality-prior"), n, coverage)
+    judged = _distance(vectors.withColumn("start", F.lit(0)), models.withColumn("start", F.lit(0)), n)
+    judged = judged.select(*counts, "d2", (F.col("d2") <= chi2_quantile(accept, len(X))).alias("kept"))
     failed = rows.where("base_failed").select(*counts, F.lit(None).cast("double").alias("d2"), F.lit(False).alias("kept"))
     return judged.unionByName(failed)
 
