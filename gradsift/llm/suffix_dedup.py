@@ -9,13 +9,16 @@ are first dealt to buckets and reduced without loss:
 2. Names.  All anchors are dealt by the hash of their q-gram.  An anchor's context is all bytes of
    the windows that can have chosen it.  Among equal contexts only the smallest document stays; the
    others are covered whole.  An anchor with one context or one document is done.
-3. Suffix order.  The contexts left are sorted as suffixes by the difference cover modulo 3: the
-   sampled triples are sorted and named, names are sorted by recursion, the remaining suffixes are
-   merged in, and adjacent prefixes are compared; a class of equal prefixes covers all members
-   but those of its smallest document.
+3. Suffix order.  A window holds its anchor's q-gram and, on one side of it, at least half of its other
+   bytes.  So a context is cut into a left and a right part, each dealt by the q-gram and the half
+   next to it: windows that are equal meet, and a frequent q-gram is spread over many tasks.  Parts
+   that meet are sorted as suffixes by the difference cover modulo 3: the sampled triples are sorted
+   and named, names are sorted by recursion, the remaining suffixes are merged in, and adjacent
+   prefixes are compared; a class of equal prefixes covers all members but those of its smallest
+   document.
 
-Tasks exchange packed columns, and buckets are as many as the bytes need, so memory per task stays
-the same at any size of the input; equal contexts are merged before they are dealt.
+Tasks exchange packed columns, and buckets are as many as the bytes need; equal contexts are merged
+before they are dealt.  Different contexts that share a q-gram and the half beside it meet in one task.
 
 Defined results: null text is empty; rows without id are neither sources nor cut; rows with one id
 are one document for the comparison, so repeated rows do not cut each other; texts shorter than
@@ -34,12 +37,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from gradsift.llm import kernels as K
-from gradsift.llm.common import materialise, maybe_broadcast, table
+from gradsift.llm.common import discard, materialise, maybe_broadcast, table
 
 LENGTH, GRAM = 50, 16
 #: Bytes of text for each bucket of anchors or documents.
 BUCKET_BYTES = 8 << 20
-#: Symbols that one suffix sort takes at most (the product of three ranks must fit 63 bits).
+#: Symbols of the small groups that are put together for one suffix sort; a group is never divided.
 SORT_SYMBOLS = 1_000_000
 #: Runs of removed bytes that may be broadcast to the last pass.
 BROADCAST_BYTES = 32 << 20
@@ -223,8 +226,9 @@ def _name(buckets: int):
 
 
 def _fetch(length: int, q: int, buckets: int):
-    """Contexts of the anchors left, read from their documents and dealt by anchor again."""
+    """Left and right parts of the contexts left, read from their documents and dealt by anchor and half."""
     w = length - q + 1
+    half = w // 2
 
     def run(texts: pa.Table, marks: pa.Table) -> pa.Table:
         doc, at, h = _read_places(marks.column("blob").to_pylist(), 2)
@@ -241,17 +245,46 @@ def _fetch(length: int, q: int, buckets: int):
             start, end = np.maximum(0, at - w + 1), np.minimum(n, at + length)
             ok = end - start >= length
             doc, at, h, row, start, end = (x[ok] for x in (doc, at, h, row, start, end))
-            place = offsets[row]
-            for b, part in _deal(K.mix(h.astype(np.uint64)), buckets):
-                size = (end - start)[part]
-                idx = np.repeat(place[part] + start[part] - (np.cumsum(size) - size), size) + np.arange(int(size.sum()))
-                blob = [_thin(h[part], 4), zlib.compress(data[idx].tobytes(), 1), _thin(size, 2), _thin((at - start)[part], 2), _places(doc[part], start[part])]
-                found.append((b, REVIEW, pickle.dumps(blob, 5)))
+            up, down = K.powers(len(data) + 1)
+            total = np.zeros(len(data) + 1, np.uint64)
+            np.cumsum(K.BYTE_CODE[data] * up[:-1], out=total[1:])
+            for side in (0, 1):
+                first, last = (start, np.minimum(end, at + q + w - 1 - half)) if side == 0 else (np.maximum(start, at - half), end)
+                begin = at - half if side == 0 else at + q
+                ok = np.flatnonzero((begin >= start) & (begin + half <= end) & (last - first >= length))
+                if not len(ok):
+                    continue
+                place, first, last, begin = offsets[row[ok]], first[ok], last[ok], begin[ok]
+                code = (total[place + begin + half] - total[place + begin]) * down[place + begin]
+                key = K.mix(K.mix(code) + (2 * h[ok] + side).astype(np.uint64) * K.STEP[24])
+                for b, part in _deal(key, buckets):
+                    size = (last - first)[part]
+                    idx = np.repeat((place + first)[part] - (np.cumsum(size) - size), size) + np.arange(int(size.sum()))
+                    blob = [_thin(key[part] >> K.U(32), 4), zlib.compress(data[idx].tobytes(), 1), _thin(size, 2), _places(doc[ok[part]], first[part])]
+                    found.append((b, REVIEW, pickle.dumps(blob, 5)))
         return pa.Table.from_batches([_rows(found)])
 
     return run
 
 
+def _codes(*parts: tuple[np.ndarray, int]) -> list[np.ndarray]:
+    """Order-preserving 63-bit codes of tuples; parts: columns of arrays with the bound of their values.
+
+    Each part is a list of arrays that share one coding; values are combined left to right, and
+    renamed by rank before a product would pass 63 bits.
+    """
+    columns, bound = parts[0]
+    cut = np.cumsum([len(c) for c in columns])[:-1]
+    code = np.concatenate(columns).astype(np.int64)
+    for columns, more in parts[1:]:
+        if bound * more >= 1 << 62:
+            names, code = np.unique(code, return_inverse=True)
+            bound = len(names)
+        code = code * more + np.concatenate(columns)
+        bound *= more
+    return np.split(code, cut)
+
+
 def suffix_order(t: np.ndarray) -> np.ndarray:
     """Suffix array of positive integers by the difference cover {1, 2} modulo 3."""
     n = len(t)
@@ -262,7 +295,7 @@ def suffix_order(t: np.ndarray) -> np.ndarray:
     one, two = np.arange(1, n + (n % 3 == 1), 3), np.arange(2, n, 3)
     sample = np.concatenate([one, two])
     # sort the sampled triples and name them
-    key = (s[sample] * top + s[sample + 1]) * top + s[sample + 2]
+    (key,) = _codes(([s[sample]], top), ([s[sample + 1]], top), ([s[sample + 2]], top))
     order = np.argsort(key, kind="stable")
     fresh = np.ones(len(order), bool)
     fresh[1:] = key[order][1:] != key[order][:-1]
@@ -281,8 +314,8 @@ def suffix_order(t: np.ndarray) -> np.ndarray:
     rest = rest[np.argsort(s[rest] * wide + rank[rest + 1], kind="stable")]
     j1, j2 = sampled[sampled % 3 == 1], sampled[sampled % 3 == 2]
     pair = lambda i: s[i] * wide + rank[i + 1]
-    triple = lambda i: (s[i] * top + s[i + 1]) * wide + rank[i + 2]
-    place = np.arange(len(rest)) + np.searchsorted(pair(j1), pair(rest)) + np.searchsorted(triple(j2), triple(rest))
+    left, right = _codes(([s[j2], s[rest]], top), ([s[j2 + 1], s[rest + 1]], top), ([rank[j2 + 2], rank[rest + 2]], wide))
+    place = np.arange(len(rest)) + np.searchsorted(pair(j1), pair(rest)) + np.searchsorted(left, right)
     out = np.full(n, -1, np.int64)
     out[place] = rest
     out[out < 0] = sampled
@@ -318,39 +351,18 @@ def covered_windows(contexts: list[tuple[np.ndarray, np.ndarray]], length: int):
     return starts[doc[own[starts]] > least[np.cumsum(fresh) - 1]], own
 
 
-def may_meet(data: np.ndarray, size: np.ndarray, h: np.ndarray, back: np.ndarray, length: int, q: int) -> np.ndarray:
-    """Which contexts can share a window with another one of their anchor.
-
-    A window holds the q-gram and, on one side of it, at least half of its other bytes; so these
-    must be equal in two contexts.  back: bytes of each context before its q-gram.
-    """
-    half = (length - q + 1) // 2
-    first = np.cumsum(size) - size
-    up, down = K.powers(len(data) + 1)
-    total = np.zeros(len(data) + 1, np.uint64)
-    np.cumsum(K.BYTE_CODE[data] * up[:-1], out=total[1:])
-    keep = np.zeros(len(size), bool)
-    for begin, ok in ((first + back - half, back >= half), (first + back + q, size - back - q >= half)):
-        at = np.flatnonzero(ok)
-        code = (total[begin[at] + half] - total[begin[at]]) * down[begin[at]]
-        code = K.mix(K.mix(code) + h[at].astype(np.uint64) * K.STEP[24])
-        _, inverse, count = np.unique(code, return_inverse=True, return_counts=True)
-        keep[at] |= count[inverse] > 1
-    return keep
-
-
 def _order(length: int, q: int, buckets: int):
     def run(t: pa.Table) -> pa.Table:
         parts = [pickle.loads(x) for x in t.column("blob").to_pylist()]
         h = np.concatenate([_wide(p[0], 4) for p in parts])
         size = np.concatenate([_wide(p[2], 2) for p in parts]).astype(np.int64)
         data = np.frombuffer(b"".join(zlib.decompress(p[1]) for p in parts), np.uint8)
-        back = np.concatenate([_wide(p[3], 2) for p in parts]).astype(np.int64)
-        doc, start = _read_places([p[4] for p in parts], 1)
+        doc, start = _read_places([p[3] for p in parts], 1)
         first = np.cumsum(size) - size
-        by = np.flatnonzero(may_meet(data, size, h, back, length, q))
+        _, inverse, count = np.unique(h, return_inverse=True, return_counts=True)
+        by = np.flatnonzero(count[inverse] > 1)  # a part that meets no other shares no window
         by = by[np.argsort(h[by], kind="stable")]
-        cut = [0]  # whole groups of one anchor, as many as one sort takes
+        cut = [0]  # whole groups, as many as one sort takes
         edge = np.r_[np.flatnonzero(np.diff(h[by])) + 1, len(by)] if len(by) else []
         run_size = np.cumsum(size[by] + 1) if len(by) else []
         spans, last, done = [], 0, 0
@@ -366,10 +378,7 @@ def _order(length: int, q: int, buckets: int):
                 continue
             n = size[group]
             idx = np.repeat(first[group] - (np.cumsum(n) - n), n) + np.arange(int(n.sum()))
-            if n.sum() + len(n) > SORT_SYMBOLS:
-                hit, own = _by_windows(data[idx], n, doc[group], length)
-            else:
-                hit, own = covered_windows((data[idx], n, doc[group]), length)
+            hit, own = covered_windows((data[idx], n, doc[group]), length)
             if len(hit):
                 k = own[hit]
                 begin = np.cumsum(n) - n + np.arange(len(n))
@@ -385,34 +394,6 @@ def _order(length: int, q: int, buckets: int):
     return run
 
 
-def _by_windows(data: np.ndarray, size: np.ndarray, doc: np.ndarray, length: int):
-    """What covered_windows gives, for one anchor with more contexts than a suffix sort takes."""
-    first = np.cumsum(size) - size
-    own = np.repeat(np.arange(len(size)), size + 1)
-    hits = []
-    for o in range(int(size.max()) - length + 1):
-        # windows of one anchor are equal only at one distance from it; contexts are aligned at their ends or starts,
-        # so all windows are compared by content, one slice of starts at a time
-        some = np.flatnonzero(size >= o + length)
-        hits.append((some, first[some] + o))
-    who = np.concatenate([h[0] for h in hits])
-    at = np.concatenate([h[1] for h in hits])
-    view = np.lib.stride_tricks.sliding_window_view(data, length)
-    code = np.zeros(len(at), np.uint64)
-    second = np.zeros(len(at), np.uint64)
-    for i in range(0, len(at), 1 << 17):
-        block = view[at[i : i + (1 << 17)]].astype(np.uint64)
-        for c in range(length):
-            code[i : i + len(block)] = code[i : i + len(block)] * K.R + K.BYTE_CODE[block[:, c]]
-            second[i : i + len(block)] = second[i : i + len(block)] * K.STEP[30] + K.BYTE_CODE[block[:, c]]
-    order = np.lexsort((doc[who], second, code))
-    fresh = np.ones(len(order), bool)
-    fresh[1:] = (code[order][1:] != code[order][:-1]) | (second[order][1:] != second[order][:-1])
-    least = doc[who[order]][np.maximum.accumulate(np.where(fresh, np.arange(len(order)), 0))]
-    hit = order[doc[who[order]] > least]
-    return at[hit] + who[hit], own
-
-
 def merged(doc: np.ndarray, start: np.ndarray, end: np.ndarray):
     """Maximal runs per document; runs that touch are one."""
     order = np.lexsort((start, doc))
@@ -473,7 +454,9 @@ def repeated_runs(docs: DataFrame, length: int = LENGTH, q: int = GRAM) -> DataF
     contexts = some.groupBy("bucket").cogroup(review.select("bucket", "blob").groupBy("bucket")).applyInArrow(_fetch(length, q, buckets), ROW)
     spans = contexts.groupBy("bucket").applyInArrow(_order(length, q, buckets), ROW)
     covers = named.where(F.col("kind") == COVER).unionByName(spans)
-    return materialise(covers.groupBy("bucket").applyInArrow(_runs(length, q), "doc_id long, runs binary"), "suffix-runs")
+    runs = materialise(covers.groupBy("bucket").applyInArrow(_runs(length, q), "doc_id long, runs binary"), "suffix-runs")
+    discard(named, wanted)
+    return runs
 
 
 def with_runs(docs: DataFrame, runs: DataFrame) -> DataFrame:

@@ -54,17 +54,24 @@ def test_matches_brute_force(spark, seed, length, q):
     assert sorted(map(tuple, got), key=str) == brute(rows, length)
 
 
-def test_windows_path_equals_suffix_path():
+def test_suffix_order_of_wide_symbols():
+    """Products of symbols beyond 63 bits are ranked first."""
     rnd = np.random.default_rng(1)
-    base = rnd.integers(0, 4, 84).astype(np.uint8)
-    size, data, doc = [], [], []
-    for i in range(60):
-        c = base.copy()
-        c[rnd.integers(0, 84, 1)] = 9
-        c = c[: rnd.integers(50, 85)]
-        size.append(len(c)), data.append(c), doc.append(int(rnd.integers(0, 30)))
-    args = np.concatenate(data), np.array(size), np.array(doc)
-    assert sorted(S.covered_windows(args, 50)[0].tolist()) == sorted(S._by_windows(*args, 50)[0].tolist())
+    for n in (3, 40, 501):
+        few = rnd.integers(1 << 40, 1 << 41, 5)
+        t = few[rnd.integers(0, 5, n)]
+        assert S.suffix_order(t).tolist() == sorted(range(n), key=lambda i: t[i:].tolist())
+
+
+def test_a_frequent_anchor_is_spread(spark):
+    """One q-gram with many different contexts: groups of equal halves are small, and nothing is lost."""
+    rnd = random.Random(4)
+    gram = "0000000000000001"
+    word = lambda n: "".join(rnd.choice("abcdefghijklmnop") for _ in range(n))
+    halves = [word(34) for _ in range(6)]
+    rows = [(i, rnd.choice(halves + [word(34)] * 3) + gram + rnd.choice(halves + [word(34)] * 3)) for i in range(150)]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    assert sorted(map(tuple, S.suffix_dedup(df, 50, 16).collect()), key=str) == brute(rows, 50)
 
 
 def test_suffix_order():
