@@ -21,8 +21,10 @@ Tasks exchange packed columns, and buckets are as many as the bytes need; equal
 before they are dealt.  Different contexts that share a q-gram and the half beside it meet in one task.
 
 Defined results: null text is empty; rows without id are neither sources nor cut; rows with one id
-are one document for the comparison, so repeated rows do not cut each other; texts shorter than
-``length`` keep everything; further columns are ignored; an empty table gives an empty table.
+are one document for the comparison, so they do not cut each other, but each is cut by its own
+runs: ids with different texts carry a tag, a 64-bit hash of the text, beside the id.  Texts shorter
+than ``length`` keep everything; further columns of any name are ignored or, by ``cut_repeats``, passed
+on; an empty table gives an empty table.
 """
 
 from __future__ import annotations
@@ -81,17 +83,18 @@ def _steps(a: np.ndarray) -> np.ndarray:
     return np.diff(a.astype(np.int64), prepend=np.int64(0)).view(np.uint64)
 
 
-def _places(doc: np.ndarray, *more: np.ndarray) -> bytes:
-    """Documents and non-negative places under 2**32, sorted by document."""
-    return pickle.dumps([_thin(_steps(doc), 8), *(_thin(m, 4) for m in more)], 5)
+def _places(doc: np.ndarray, tag: np.ndarray, *more: np.ndarray) -> bytes:
+    """Documents, tags and non-negative places under 2**32, sorted by document; tags are mostly all zero."""
+    return pickle.dumps([_thin(_steps(doc), 8), _thin(tag, 8) if tag.any() else b"", *(_thin(m, 4) for m in more)], 5)
 
 
 def _read_places(blobs: list[bytes], n: int) -> tuple[np.ndarray, ...]:
-    parts = [[np.zeros(0, np.int64)] for _ in range(n + 1)]
+    parts = [[np.zeros(0, np.int64)] for _ in range(n + 2)]
     for b in blobs:
-        doc, *more = pickle.loads(b)
+        doc, tag, *more = pickle.loads(b)
         parts[0].append(np.cumsum(_wide(doc, 8).view(np.int64)))
-        for p, m in zip(parts[1:], more, strict=True):
+        parts[1].append(_wide(tag, 8).view(np.int64) if tag else np.zeros(len(parts[0][-1]), np.int64))
+        for p, m in zip(parts[2:], more, strict=True):
             p.append(_wide(m, 4).astype(np.int64))
     return tuple(np.concatenate(p) for p in parts)
 
@@ -151,18 +154,18 @@ def _sample(length: int, q: int, buckets: int):
     def run(batches):
         for batch in batches:
             data, offsets = K.raw(batch.column(1))
-            ids = batch.column(0).to_numpy(zero_copy_only=False).astype(np.int64)
+            ids, tags = (batch.column(i).to_numpy(zero_copy_only=False).astype(np.int64) for i in (0, 2))
             for first, last in K.pieces(offsets, BUCKET_BYTES):
-                yield deal(data, offsets, ids, first, last)
+                yield deal(data, offsets, ids, tags, first, last)
 
-    def deal(data, offsets, ids, first, last) -> pa.RecordBatch:
+    def deal(data, offsets, ids, tags, first, last) -> pa.RecordBatch:
         parts = []
         for i, j in K.pieces(offsets[first : last + 1], 2 << 20):
             i, j = i + first, j + first
             lo, hi = offsets[i], offsets[j]
             doc, at, h, c = anchors(data[lo:hi], offsets[i : j + 1] - lo, length, q)
-            parts.append((ids[doc + i], at, h, c))
-        doc, at, h, c = (np.concatenate(x) for x in zip(*parts, strict=True))
+            parts.append((ids[doc + i], tags[doc + i], at, h, c))
+        doc, tag, at, h, c = (np.concatenate(x) for x in zip(*parts, strict=True))
         # equal contexts of this batch: the smallest document speaks for all
         order = np.lexsort((doc, K.mix(h * K.STEP[23] + c)))
         same = np.zeros(len(order), bool)
@@ -176,10 +179,10 @@ def _sample(length: int, q: int, buckets: int):
             covered = covered[np.argsort(doc[covered], kind="stable")]
             for b, part in _deal(_doc_key(doc[covered]), buckets):
                 part = covered[part]
-                found.append((b, COVER, _places(doc[part], at[part])))
-        doc, at, h, c = doc[keep], at[keep], h[keep], c[keep]
+                found.append((b, COVER, _places(doc[part], tag[part], at[part])))
+        doc, tag, at, h, c = doc[keep], tag[keep], at[keep], h[keep], c[keep]
         for b, part in _deal(h, buckets):
-            found.append((b, ANCHOR, pickle.dumps([_cut(h[part] >> K.U(24), 5), _cut(c[part] >> K.U(8), 7), _places(doc[part], at[part])], 5)))
+            found.append((b, ANCHOR, pickle.dumps([_cut(h[part] >> K.U(24), 5), _cut(c[part] >> K.U(8), 7), _places(doc[part], tag[part], at[part])], 5)))
         return _rows(found)
 
     return run
@@ -197,9 +200,9 @@ def _name(buckets: int):
         if mine:
             h = np.concatenate([_grow(x[0], 5) for x in mine])
             c = np.concatenate([_grow(x[1], 7) for x in mine])
-            doc, at = _read_places([x[2] for x in mine], 1)
+            doc, tag, at = _read_places([x[2] for x in mine], 1)
             order = np.lexsort((doc, c, h))
-            h, c, doc, at = h[order], c[order], doc[order], at[order]
+            h, c, doc, tag, at = h[order], c[order], doc[order], tag[order], at[order]
             new_h = np.ones(len(h), bool)
             new_h[1:] = h[1:] != h[:-1]
             new_c = new_h.copy()
@@ -216,7 +219,7 @@ def _name(buckets: int):
                 i = i[np.argsort(doc[i], kind="stable")]
                 for b, part in _deal(_doc_key(doc[i]), buckets):
                     part = i[part]
-                    found.append((b, what, _places(doc[part], at[part], *(m[part] for m in more))))
+                    found.append((b, what, _places(doc[part], tag[part], at[part], *(m[part] for m in more))))
         return pa.Table.from_batches([_rows(found)])
 
     return run
@@ -231,20 +234,17 @@ def _fetch(length: int, q: int, buckets: int):
     half = w // 2
 
     def run(texts: pa.Table, marks: pa.Table) -> pa.Table:
-        doc, at, h = _read_places(marks.column("blob").to_pylist(), 2)
-        ids = texts.column("doc_id").to_numpy()
+        doc, tag, at, h = _read_places(marks.column("blob").to_pylist(), 2)
+        ids, tags = texts.column("doc_id").to_numpy(), texts.column("tag").to_numpy()
         found = []
         if len(doc) and len(ids):
             data, offsets = K.raw(texts.column("text"))
-            order = np.argsort(ids, kind="stable")
-            row = np.minimum(np.searchsorted(ids[order], doc), len(ids) - 1)
-            ok = ids[order][row] == doc
-            doc, at, h, row = doc[ok], at[ok], h[ok], order[row[ok]]
-            # rows of one id may differ; the mark belongs to one that is long enough
-            n = np.diff(offsets)[row]
-            start, end = np.maximum(0, at - w + 1), np.minimum(n, at + length)
-            ok = end - start >= length
-            doc, at, h, row, start, end = (x[ok] for x in (doc, at, h, row, start, end))
+            have, want = _joint(ids, tags, doc, tag)
+            order = np.argsort(have, kind="stable")
+            row = np.minimum(np.searchsorted(have[order], want), len(ids) - 1)
+            ok = have[order][row] == want
+            doc, tag, at, h, row = doc[ok], tag[ok], at[ok], h[ok], order[row[ok]]
+            start, end = np.maximum(0, at - w + 1), np.minimum(np.diff(offsets)[row], at + length)
             up, down = K.powers(len(data) + 1)
             total = np.zeros(len(data) + 1, np.uint64)
             np.cumsum(K.BYTE_CODE[data] * up[:-1], out=total[1:])
@@ -260,13 +260,23 @@ def _fetch(length: int, q: int, buckets: int):
                 for b, part in _deal(key, buckets):
                     size = (last - first)[part]
                     idx = np.repeat((place + first)[part] - (np.cumsum(size) - size), size) + np.arange(int(size.sum()))
-                    blob = [_thin(key[part] >> K.U(32), 4), zlib.compress(data[idx].tobytes(), 1), _thin(size, 2), _places(doc[ok[part]], first[part])]
+                    blob = [_thin(key[part] >> K.U(32), 4), zlib.compress(data[idx].tobytes(), 1), _thin(size, 2), _places(doc[ok[part]], tag[ok[part]], first[part])]
                     found.append((b, REVIEW, pickle.dumps(blob, 5)))
         return pa.Table.from_batches([_rows(found)])
 
     return run
 
 
+def _joint(ids: np.ndarray, tags: np.ndarray, doc: np.ndarray, tag: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """One key for each (id, tag) on both sides; the id itself where no tag is set."""
+    if not (tags.any() or tag.any()):
+        return ids, doc
+    one = np.unique(np.r_[ids, doc], return_inverse=True)[1]
+    names, two = np.unique(np.r_[tags, tag], return_inverse=True)
+    key = one * np.int64(len(names)) + two
+    return key[: len(ids)], key[len(ids) :]
+
+
 def _codes(*parts: tuple[np.ndarray, int]) -> list[np.ndarray]:
     """Order-preserving 63-bit codes of tuples; parts: columns of arrays with the bound of their values.
 
@@ -357,7 +367,7 @@ def _order(length: int, q: int, buckets: int):
         h = np.concatenate([_wide(p[0], 4) for p in parts])
         size = np.concatenate([_wide(p[2], 2) for p in parts]).astype(np.int64)
         data = np.frombuffer(b"".join(zlib.decompress(p[1]) for p in parts), np.uint8)
-        doc, start = _read_places([p[3] for p in parts], 1)
+        doc, tag, start = _read_places([p[3] for p in parts], 1)
         first = np.cumsum(size) - size
         _, inverse, count = np.unique(h, return_inverse=True, return_counts=True)
         by = np.flatnonzero(count[inverse] > 1)  # a part that meets no other shares no window
@@ -382,29 +392,29 @@ def _order(length: int, q: int, buckets: int):
             if len(hit):
                 k = own[hit]
                 begin = np.cumsum(n) - n + np.arange(len(n))
-                spans.append((doc[group][k], start[group][k] + hit - begin[k]))
+                spans.append((doc[group][k], tag[group][k], start[group][k] + hit - begin[k]))
         found = []
         if spans:
-            d, s = (np.concatenate(x) for x in zip(*spans, strict=True))
-            d, s, e = merged(d, s, s + length)
+            d, g, s = (np.concatenate(x) for x in zip(*spans, strict=True))
+            d, g, s, e = merged(d, g, s, s + length)
             for b, part in _deal(_doc_key(d), buckets):
-                found.append((b, SPAN, _places(d[part], s[part], e[part])))
+                found.append((b, SPAN, _places(d[part], g[part], s[part], e[part])))
         return pa.Table.from_batches([_rows(found)])
 
     return run
 
 
-def merged(doc: np.ndarray, start: np.ndarray, end: np.ndarray):
-    """Maximal runs per document; runs that touch are one."""
-    order = np.lexsort((start, doc))
-    doc, start, end = doc[order], start[order], end[order]
+def merged(doc: np.ndarray, tag: np.ndarray, start: np.ndarray, end: np.ndarray):
+    """Maximal runs per document and tag; runs that touch are one."""
+    order = np.lexsort((start, tag, doc))
+    doc, tag, start, end = doc[order], tag[order], start[order], end[order]
     if not len(doc):
-        return doc, start, end
-    shift = np.cumsum(np.r_[False, doc[1:] != doc[:-1]]) * np.int64(1 << 33)
+        return doc, tag, start, end
+    shift = np.cumsum(np.r_[False, (doc[1:] != doc[:-1]) | (tag[1:] != tag[:-1])]) * np.int64(1 << 33)
     reach = np.maximum.accumulate(end + shift)
     fresh = np.r_[True, (start + shift)[1:] > reach[:-1]]
     first = np.flatnonzero(fresh)
-    return doc[first], start[first], np.maximum.reduceat(end + shift, first) - shift[first]
+    return doc[first], tag[first], start[first], np.maximum.reduceat(end + shift, first) - shift[first]
 
 
 # result -----------------------------------------------------------------------
@@ -416,22 +426,32 @@ def _runs(length: int, q: int):
     def run(t: pa.Table) -> pa.Table:
         kind = t.column("kind").to_numpy()
         blobs = t.column("blob").to_pylist()
-        doc, at = _read_places([x for x, k in zip(blobs, kind, strict=True) if k == COVER], 1)
-        d2, s2, e2 = _read_places([x for x, k in zip(blobs, kind, strict=True) if k == SPAN], 2)
-        doc, start, end = merged(np.r_[doc, d2], np.r_[np.maximum(0, at - w + 1), s2], np.r_[at + length, e2])
-        edge = np.r_[0, np.flatnonzero(np.diff(doc)) + 1] if len(doc) else np.zeros(0, np.int64)
+        doc, tag, at = _read_places([x for x, k in zip(blobs, kind, strict=True) if k == COVER], 1)
+        d2, g2, s2, e2 = _read_places([x for x, k in zip(blobs, kind, strict=True) if k == SPAN], 2)
+        doc, tag, start, end = merged(np.r_[doc, d2], np.r_[tag, g2], np.r_[np.maximum(0, at - w + 1), s2], np.r_[at + length, e2])
+        edge = np.r_[0, np.flatnonzero((doc[1:] != doc[:-1]) | (tag[1:] != tag[:-1])) + 1] if len(doc) else np.zeros(0, np.int64)
         pairs = np.stack([start, end], 1).astype("<i4")
         blobs = [x.tobytes() for x in np.split(pairs, edge[1:])] if len(doc) else []
-        return pa.table({"doc_id": pa.array(doc[edge], pa.int64()), "runs": pa.array(blobs, pa.binary())})
+        return pa.table({"doc_id": pa.array(doc[edge], pa.int64()), "tag": pa.array(tag[edge], pa.int64()), "runs": pa.array(blobs, pa.binary())})
 
     return run
 
 
 def repeated_runs(docs: DataFrame, length: int = LENGTH, q: int = GRAM) -> DataFrame:
-    """(doc_id, runs) of documents with removed bytes; runs: int32 pairs, the last may pass the end."""
+    """(doc_id, tag, runs) of documents with removed bytes; runs: int32 pairs, the last may pass the end.
+
+    tag is 0, but for ids with different texts ``_tag`` of the text that the runs belong to.
+    """
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
     docs = docs.where("doc_id is not null")
-    total = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    ids = docs.groupBy("doc_id").agg(F.sum(F.octet_length("text")).alias("n"), (F.min(_tag("text")) < F.max(_tag("text"))).alias("differ"))
+    total, differ = ids.agg(F.sum("n"), F.count_if("differ")).first()
+    total = total or 0
+    docs = docs.withColumn("tag", F.lit(0).cast("long"))
+    if differ:
+        twins = ids.where("differ").select("doc_id", F.lit(True).alias("twin"))
+        docs = docs.join(maybe_broadcast(twins, differ), "doc_id", "left")
+        docs = docs.select("doc_id", "text", F.when(F.col("twin"), _tag("text")).otherwise(F.lit(0)).alias("tag"))
     buckets = max(12, -(-total // BUCKET_BYTES))
     sample = docs.mapInArrow(_sample(length, q, buckets), ROW)
     named = materialise(sample.groupBy("bucket").applyInArrow(_name(buckets), ROW), "suffix-names")
@@ -448,21 +468,29 @@ def repeated_runs(docs: DataFrame, length: int = LENGTH, q: int = GRAM) -> DataF
     def place(batches):
         for b in batches:
             key = (_doc_key(b.column(0).to_numpy(zero_copy_only=False).astype(np.int64)) % K.U(buckets)).astype(np.int32)
-            yield pa.RecordBatch.from_arrays([pa.array(key), *b.columns], ["bucket", "doc_id", "text"])
+            yield pa.RecordBatch.from_arrays([pa.array(key), *b.columns], ["bucket", "doc_id", "text", "tag"])
 
-    some = some.mapInArrow(place, "bucket int, doc_id long, text string")
+    some = some.mapInArrow(place, "bucket int, doc_id long, text string, tag long")
     contexts = some.groupBy("bucket").cogroup(review.select("bucket", "blob").groupBy("bucket")).applyInArrow(_fetch(length, q, buckets), ROW)
     spans = contexts.groupBy("bucket").applyInArrow(_order(length, q, buckets), ROW)
     covers = named.where(F.col("kind") == COVER).unionByName(spans)
-    runs = materialise(covers.groupBy("bucket").applyInArrow(_runs(length, q), "doc_id long, runs binary"), "suffix-runs")
+    runs = materialise(covers.groupBy("bucket").applyInArrow(_runs(length, q), "doc_id long, tag long, runs binary"), "suffix-runs")
     discard(named, wanted)
     return runs
 
 
+def _tag(text) -> F.Column:
+    """Hash that tells texts of one id apart, never 0."""
+    return F.xxhash64(text).bitwiseOR(F.lit(1).cast("long"))
+
+
 def with_runs(docs: DataFrame, runs: DataFrame) -> DataFrame:
-    """docs with a column ``runs``; the runs are broadcast if they are small, else both sides are shuffled."""
-    size = runs.agg(F.sum(F.octet_length("runs") + 24)).first()[0] or 0
-    return docs.join(F.broadcast(runs) if size <= BROADCAST_BYTES else runs, "doc_id", "left")
+    """docs with their runs as last column, under a name that docs lack; runs are broadcast if they are small, else both sides are shuffled."""
+    size = runs.agg(F.sum(F.octet_length("runs") + 32)).first()[0] or 0
+    d, r = docs.alias("d"), (F.broadcast(runs) if size <= BROADCAST_BYTES else runs).alias("r")
+    own = (F.col("r.tag") == 0) | (F.col("r.tag") == _tag(F.coalesce(F.col("d.text").cast("string"), F.lit(""))))
+    free = "runs" + "_" * (1 + max(map(len, docs.columns)))
+    return d.join(r, (F.col("d.doc_id") == F.col("r.doc_id")) & own, "left").select("d.*", F.col("r.runs").alias(free))
 
 
 def kept_parts(data: bytes, runs: bytes | None) -> tuple[bytes, int, int]:
@@ -501,7 +529,7 @@ def _digests(batches):
 def suffix_dedup(docs: DataFrame, length: int = LENGTH, q: int = GRAM) -> DataFrame:
     """Digest of what stays of every document."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    both = with_runs(docs, repeated_runs(docs, length, q)).select("doc_id", "text", "runs")
+    both = with_runs(docs, repeated_runs(docs, length, q))
     return both.mapInArrow(_digests, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
 
 
@@ -515,15 +543,15 @@ def cut_repeats(docs: DataFrame, length: int = LENGTH, q: int = GRAM) -> DataFra
 
     def run(batches):
         for b in batches:
-            data, offsets = K.raw(b.column("text"))
+            data, offsets = K.raw(b.column(names.index("text")))
             text, keep = [], []
-            for i, r in enumerate(b.column("runs").to_pylist()):
+            for i, r in enumerate(b.column(len(names)).to_pylist()):
                 own = data[offsets[i] : offsets[i + 1]].tobytes()
                 rest, gone, _ = kept_parts(own, r)
                 text.append(rest.decode("utf-8", "ignore"))
                 keep.append(not gone or bool(text[-1].strip()))
-            null = b.column("text").is_null().to_numpy(zero_copy_only=False)
-            cols = {c: b.column(c) for c in names}
+            null = b.column(names.index("text")).is_null().to_numpy(zero_copy_only=False)
+            cols = {c: b.column(i) for i, c in enumerate(names)}
             cols["text"] = pa.array([None if z else t for t, z in zip(text, null, strict=True)], pa.string())
             if "n_chars" in cols:
                 cols["n_chars"] = pa.array([None if z else len(t) for t, z in zip(text, null, strict=True)], cols["n_chars"].type)

@@ -82,6 +82,19 @@ def test_suffix_order():
             assert S.suffix_order(t).tolist() == sorted(range(n), key=lambda i: t[i:].tolist())
 
 
+def test_rows_of_one_id_with_different_texts(spark):
+    """Each row is cut by its own runs and none by a row of the same id."""
+    rnd = random.Random(6)
+    p, x, y = ("".join(rnd.choice("abcdef ") for _ in range(122)) for _ in range(3))
+    rows = [(1, p), (5, p), (5, x), (5, x + p), (5, x), (7, y), (7, "ab" + y + x), (7, None), (7, p[:49] + y), (9, y)]
+    got = S.suffix_dedup(spark.createDataFrame(rows, "doc_id long, text string").repartition(3)).collect()
+    assert sorted(map(tuple, got), key=str) == brute(rows, 50)
+    rows = [(i, t, "r", 0, "e") for i, t in rows]
+    out = S.cut_repeats(spark.createDataFrame(rows, "doc_id long, text string, runs string, tag long, bucket string"))
+    assert out.columns == ["doc_id", "text", "runs", "tag", "bucket"] and {tuple(r)[2:] for r in out.collect()} == {("r", 0, "e")}
+    assert sorted(len(r.text) for r in out.where("doc_id = 5").collect()) == [122, 122, 122]
+
+
 def test_cut_and_edges(spark):
     schema = "doc_id long, text string, lang string, source string, n_chars long"
     p = "The quick brown fox jumps over the lazy dog and then é some more words."
