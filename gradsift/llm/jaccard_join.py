@@ -405,7 +405,7 @@ def can_link(docs: DataFrame, words: int, percent: int, total: int) -> tuple[Dat
     """(doc_id, n_shingles and digest c, d of every row; node and a doc_id of each set that may link)."""
     every = part_of_space(percent)
     buckets = max(12, -(-total // (BUCKET_BYTES * every)))
-    told = materialise(docs.mapInArrow(_tell(words, percent, buckets, every), TOLD), "join-told")
+    told = materialise(docs.mapInArrow(K.lean(_tell(words, percent, buckets, every)), TOLD), "join-told")
     rows = told.where("kind = 0")
     spread = told.where("kind = 1").select("a", "piece", "blob").groupBy("a").applyInArrow(_shared_of_bucket, "piece long, row binary, n binary")
     shared = spread.groupBy("piece").applyInArrow(_shared_of_piece, "piece long, a long, shared long")
@@ -423,9 +423,9 @@ def signature_tree_join(docs: DataFrame, words: int = 5, percent: int = 80, bloc
     total = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     rows, able = can_link(docs, words, percent, total)
     some = docs.join(maybe_broadcast(able, able.count()), "doc_id").select("node", "text")
-    sets = materialise(some.mapInArrow(_sets(words), "node long, n long, shingles binary").dropDuplicates(["node"]), "join-sets")
+    sets = materialise(some.mapInArrow(K.lean(_sets(words)), "node long, n long, shingles binary").dropDuplicates(["node"]), "join-sets")
     buckets = max(12, -(-8 * (sets.agg(F.sum("n")).first()[0] or 0) // BUCKET_BYTES))
-    signed = materialise(sets.select("node", "shingles").mapInArrow(_signatures(percent, buckets), SIGNED), "join-signed")
+    signed = materialise(sets.select("node", "shingles").mapInArrow(K.lean(_signatures(percent, buckets)), SIGNED), "join-signed")
     far = signed.where("kind = 2").select("a", "blob").groupBy("a").applyInArrow(_forest_of_bucket, "node long, a long, n long")
     near = materialise(signed.where("kind = 1").select("node", "a", "n").unionByName(far), "join-near")
     cluster = connected_components(near.select(F.col("node").alias("u"), F.col("a").alias("v")))

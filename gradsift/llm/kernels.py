@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import ctypes
+from collections.abc import Callable
+
 import numpy as np
 import pyarrow as pa
 
@@ -27,6 +30,47 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> U(31))
 
 
+def idle() -> None:
+    """Gives memory that is no longer used back to the system, where its C library can."""
+    if _powers and len(_powers[0]) > 1 << 20:
+        _powers.clear()
+    pa.default_memory_pool().release_unused()
+    if trim := getattr(ctypes.CDLL(None), "malloc_trim", None):
+        trim(0)
+
+
+def lean(run: Callable) -> Callable:
+    """A ``mapInArrow`` function whose worker, which waits for further tasks, ends without spare memory."""
+
+    def task(batches):
+        yield from run(batches)
+        idle()
+
+    return task
+
+
+def lean_group(run: Callable) -> Callable:
+    """The same for an ``applyInArrow`` function whose groups are buckets of some MB."""
+
+    def group(t: pa.Table) -> pa.Table:
+        out = run(t)
+        idle()
+        return out
+
+    return group
+
+
+def lean_cogroup(run: Callable) -> Callable:
+    """The same for two sides."""
+
+    def group(left: pa.Table, right: pa.Table) -> pa.Table:
+        out = run(left, right)
+        idle()
+        return out
+
+    return group
+
+
 def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     """R**i and R**-i for i < n, kept for the next call."""
     if not _powers or len(_powers[0]) < n:

@@ -26,6 +26,7 @@ from pyspark.sql import functions as F
 
 from gradsift.llm.bpe import text_blocks, word_encoder
 from gradsift.llm.common import materialise, table
+from gradsift.llm.kernels import lean
 
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long, task int, local long"
 
@@ -137,7 +138,7 @@ def _placer(plan: list[tuple[int, dict[int, int]]], shift: int = 40):
 def pack_documents(docs: DataFrame, path: str, capacity: int = 4096, end_id: int = 1) -> DataFrame:
     """One row per piece: where it stands in its document and in its sequence."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    pieces = materialise(docs.mapInArrow(_encode(path, capacity, end_id), PIECES), "pack-pieces")
+    pieces = materialise(docs.mapInArrow(lean(_encode(path, capacity, end_id)), PIECES), "pack-pieces")
     counts = materialise(pieces.groupBy("task", "length").agg(F.count("*").alias("n")), "pack-counts")
     # at most ``capacity`` rows come to the driver
     plan = best_two_fit({r.length: r.n for r in counts.groupBy("length").agg(F.sum("n").alias("n")).collect()}, capacity)

@@ -453,8 +453,8 @@ def repeated_runs(docs: DataFrame, length: int = LENGTH, q: int = GRAM) -> DataF
         docs = docs.join(maybe_broadcast(twins, differ), "doc_id", "left")
         docs = docs.select("doc_id", "text", F.when(F.col("twin"), _tag("text")).otherwise(F.lit(0)).alias("tag"))
     buckets = max(12, -(-total // BUCKET_BYTES))
-    sample = docs.mapInArrow(_sample(length, q, buckets), ROW)
-    named = materialise(sample.groupBy("bucket").applyInArrow(_name(buckets), ROW), "suffix-names")
+    sample = docs.mapInArrow(K.lean(_sample(length, q, buckets)), ROW)
+    named = materialise(sample.groupBy("bucket").applyInArrow(K.lean_group(_name(buckets)), ROW), "suffix-names")
     review = named.where(F.col("kind") == REVIEW)
 
     def owners(batches):
@@ -471,10 +471,10 @@ def repeated_runs(docs: DataFrame, length: int = LENGTH, q: int = GRAM) -> DataF
             yield pa.RecordBatch.from_arrays([pa.array(key), *b.columns], ["bucket", "doc_id", "text", "tag"])
 
     some = some.mapInArrow(place, "bucket int, doc_id long, text string, tag long")
-    contexts = some.groupBy("bucket").cogroup(review.select("bucket", "blob").groupBy("bucket")).applyInArrow(_fetch(length, q, buckets), ROW)
-    spans = contexts.groupBy("bucket").applyInArrow(_order(length, q, buckets), ROW)
+    contexts = some.groupBy("bucket").cogroup(review.select("bucket", "blob").groupBy("bucket")).applyInArrow(K.lean_cogroup(_fetch(length, q, buckets)), ROW)
+    spans = contexts.groupBy("bucket").applyInArrow(K.lean_group(_order(length, q, buckets)), ROW)
     covers = named.where(F.col("kind") == COVER).unionByName(spans)
-    runs = materialise(covers.groupBy("bucket").applyInArrow(_runs(length, q), "doc_id long, tag long, runs binary"), "suffix-runs")
+    runs = materialise(covers.groupBy("bucket").applyInArrow(K.lean_group(_runs(length, q)), "doc_id long, tag long, runs binary"), "suffix-runs")
     discard(named, wanted)
     return runs
 
@@ -530,7 +530,7 @@ def suffix_dedup(docs: DataFrame, length: int = LENGTH, q: int = GRAM) -> DataFr
     """Digest of what stays of every document."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     both = with_runs(docs, repeated_runs(docs, length, q))
-    return both.mapInArrow(_digests, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
+    return both.mapInArrow(K.lean(_digests), "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
 
 
 def cut_repeats(docs: DataFrame, length: int = LENGTH, q: int = GRAM) -> DataFrame:
@@ -557,7 +557,7 @@ def cut_repeats(docs: DataFrame, length: int = LENGTH, q: int = GRAM) -> DataFra
                 cols["n_chars"] = pa.array([None if z else len(t) for t, z in zip(text, null, strict=True)], cols["n_chars"].type)
             yield pa.RecordBatch.from_pydict(cols).filter(pa.array(keep))
 
-    return both.mapInArrow(run, docs.schema)
+    return both.mapInArrow(K.lean(run), docs.schema)
 
 
 def op2_difference_cover(spark: SparkSession, sf_dir: str) -> DataFrame:
