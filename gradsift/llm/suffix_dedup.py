@@ -45,7 +45,7 @@ LENGTH, GRAM = 50, 16
 #: Bytes of text for each bucket of anchors or documents.
 BUCKET_BYTES = 8 << 20
 #: Symbols of the small groups that are put together for one suffix sort; a group is never divided.
-SORT_SYMBOLS = 1_000_000
+SORT_SYMBOLS = 400_000
 #: Runs of removed bytes that may be broadcast to the last pass.
 BROADCAST_BYTES = 32 << 20
 ANCHOR, COVER, REVIEW, SPAN = 0, 1, 2, 3
@@ -160,7 +160,7 @@ def _sample(length: int, q: int, buckets: int):
 
     def deal(data, offsets, ids, tags, first, last) -> pa.RecordBatch:
         parts = []
-        for i, j in K.pieces(offsets[first : last + 1], 2 << 20):
+        for i, j in K.pieces(offsets[first : last + 1], 1 << 19):
             i, j = i + first, j + first
             lo, hi = offsets[i], offsets[j]
             doc, at, h, c = anchors(data[lo:hi], offsets[i : j + 1] - lo, length, q)
@@ -228,6 +228,15 @@ def _name(buckets: int):
 # 3. suffix order --------------------------------------------------------------
 
 
+def _half_codes(data: np.ndarray, at: np.ndarray, n: int) -> np.ndarray:
+    """Hashes of the n bytes from each place, some places at a time."""
+    up, out = K.powers(n)[0], np.empty(len(at), np.uint64)
+    for i in range(0, len(at), 1 << 14):
+        own = data[at[i : i + (1 << 14), None] + np.arange(n)]
+        out[i : i + (1 << 14)] = (K.BYTE_CODE[own] * up).sum(1, dtype=np.uint64)
+    return out
+
+
 def _fetch(length: int, q: int, buckets: int):
     """Left and right parts of the contexts left, read from their documents and dealt by anchor and half."""
     w = length - q + 1
@@ -245,9 +254,6 @@ def _fetch(length: int, q: int, buckets: int):
             ok = have[order][row] == want
             doc, tag, at, h, row = doc[ok], tag[ok], at[ok], h[ok], order[row[ok]]
             start, end = np.maximum(0, at - w + 1), np.minimum(np.diff(offsets)[row], at + length)
-            up, down = K.powers(len(data) + 1)
-            total = np.zeros(len(data) + 1, np.uint64)
-            np.cumsum(K.BYTE_CODE[data] * up[:-1], out=total[1:])
             for side in (0, 1):
                 first, last = (start, np.minimum(end, at + q + w - 1 - half)) if side == 0 else (np.maximum(start, at - half), end)
                 begin = at - half if side == 0 else at + q
@@ -255,8 +261,7 @@ def _fetch(length: int, q: int, buckets: int):
                 if not len(ok):
                     continue
                 place, first, last, begin = offsets[row[ok]], first[ok], last[ok], begin[ok]
-                code = (total[place + begin + half] - total[place + begin]) * down[place + begin]
-                key = K.mix(K.mix(code) + (2 * h[ok] + side).astype(np.uint64) * K.STEP[24])
+                key = K.mix(K.mix(_half_codes(data, place + begin, half)) + (2 * h[ok] + side).astype(np.uint64) * K.STEP[24])
                 for b, part in _deal(key, buckets):
                     size = (last - first)[part]
                     idx = np.repeat((place + first)[part] - (np.cumsum(size) - size), size) + np.arange(int(size.sum()))
