@@ -105,3 +105,25 @@ def test_cut_and_edges(spark):
     assert got[0] == (1, p + " one", len(p) + 4) and got[1][1] == "two "[: len(got[1][1])]
     assert S.suffix_dedup(spark.createDataFrame([], schema)).count() == 0
     assert S.cut_repeats(spark.createDataFrame([], schema)).count() == 0
+
+
+def test_grams_that_meet_by_chance_bring_no_text_along():
+    """One q-gram in all texts, but other bytes beside it in each: nothing is left to review but what shares a half as well."""
+    import pyarrow as pa
+
+    rnd = random.Random(5)
+    make = lambda n: "".join(rnd.choice("abcdefghijklmnop") for _ in range(n))
+    gram = max((make(16) for _ in range(3000)), key=lambda g: int(S.K.rolling(np.frombuffer(g.encode(), np.uint8), 16)[0]))  # an anchor nearly everywhere
+
+    def reviewed(texts):
+        b = pa.RecordBatch.from_arrays([pa.array(range(len(texts)), pa.int64()), pa.array(texts), pa.array([0] * len(texts), pa.int64())], ["doc_id", "text", "tag"])
+        t = pa.Table.from_batches(S._sample(50, 16, 1)(iter([b])))
+        named = S._name(1)(t)
+        return [x for k, x in zip(named.column("kind").to_pylist(), named.column("blob").to_pylist(), strict=True) if k == S.REVIEW]
+
+    apart = [make(60) + gram + make(60) for _ in range(300)]
+    assert not reviewed(apart)
+    tail = make(25)
+    found = reviewed([*apart, make(60) + gram + tail + make(40), make(60) + gram + tail + make(40)])
+    doc, _, at, _, sides = S._read_places(found, 3)
+    assert set(doc.tolist()) == {300, 301} and set(sides[at <= 60].tolist()) <= {2}
