@@ -31,8 +31,17 @@ def updates(stream):
 
 
 def drained(spark, frame, mode: str):
-    """Runs a stream over all that is there and returns its last result as a table."""
+    """Runs a stream over all that is there and returns its last result as a table.
+
+    Appended rows are written to files by the executors; only results that are replaced as a whole or row by row are held by the driver.
+    """
     name = f"t{uuid.uuid4().hex}"
+    if mode == "append":
+        path = f"{shared_dir(spark)}/{name}"
+        frame.writeStream.format("parquet").option("path", path).outputMode(mode).option("checkpointLocation", f"{shared_dir(spark)}/cp-{name}").trigger(availableNow=True).start().awaitTermination()
+        at = spark._jvm.org.apache.hadoop.fs.Path(path)
+        found = at.getFileSystem(spark._jsc.hadoopConfiguration()).exists(at)
+        return spark.read.schema(frame.schema).parquet(path) if found else spark.createDataFrame([], frame.schema)
     q = frame.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", f"{shared_dir(spark)}/cp-{name}").trigger(availableNow=True).start()
     q.awaitTermination()
     return spark.table(name)

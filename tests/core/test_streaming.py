@@ -67,3 +67,14 @@ def test_duplicates_within_the_watermark(spark, tmp_path):
     write(spark, [(1, day(1), 1, 1), (3, day(1), 1, 1)], path)
     got = drained(spark, ST.once(stream_table(spark, path, SCHEMA), "event_id", "ts", "5 days").select("event_id"), "append")
     assert sorted(r.event_id for r in got.collect()) == [1, 2, 3] and got.agg(F.count("*")).first()[0] == 3
+
+
+def test_appended_rows_are_not_held_by_the_driver(spark, tmp_path):
+    path = f"file://{tmp_path}/in"
+    spark.range(1000).selectExpr("id as event_id", "timestamp'2024-01-01' as ts", "id as coord", "id as delta").write.parquet(path)
+    got = drained(spark, ST.once(stream_table(spark, path, SCHEMA), "event_id", "ts", "5 days").select("event_id"), "append")
+    assert got.count() == 1000 and "LocalTableScan" not in got._jdf.queryExecution().optimizedPlan().toString() and got.inputFiles()
+    empty = spark.createDataFrame([], SCHEMA)
+    empty.write.parquet(f"file://{tmp_path}/none")
+    none = drained(spark, ST.once(stream_table(spark, f"file://{tmp_path}/none", SCHEMA), "event_id", "ts", "5 days").select("event_id"), "append")
+    assert none.count() == 0 and none.columns == ["event_id"]
