@@ -545,7 +545,9 @@ class WordEncoder(Chunks):
         missing = self._missing(split, self.sizes if sizes else self.chunks)
         plain = [c for c in missing if c.isascii()]
         other = [c for c in missing if not c.isascii()]
-        odd = [c for c in other if self.unknown.search(c)]
+        # one look at each different character, not at each chunk
+        bad = {x for x in set().union(*other) if self.unknown.search(x)}
+        odd = [c for c in other if not bad.isdisjoint(c)] if bad else []
         for c in odd:
             got = self._library_ids(c)
             if sizes:

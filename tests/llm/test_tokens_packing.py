@@ -164,3 +164,23 @@ def test_encode_decode_query(spark):
     assert len(out) == len(rows) and all(r.n_tokens == len(r.ids) for r in out)
     assert sorted(r.decoded for r in out) == sorted(t or "" for _, t in rows)
     assert tokens.encode_decode(df.limit(0), path).count() == 0 == packing.pack_documents(df.limit(0), packing.tokenizer_path("word_bpe_49k.json")).count()
+
+
+def test_unknown_characters_are_looked_up_once():
+    """Chunks with characters that Python's tables lack go to the library; each different character is looked at once, not each chunk."""
+    from gradsift.llm import bpe
+    from gradsift.llm.packing import tokenizer_path
+
+    encoder, seen = bpe.WordEncoder(tokenizer_path("word_bpe_49k.json")), []
+    unknown = encoder.unknown
+
+    class Counted:
+        def search(self, x):
+            seen.append(x)
+            return unknown.search(x)
+
+    encoder.unknown = Counted()
+    texts = [f"é{i} ñu{i} Ω{i}\U000323b0{i} plain{i}" for i in range(500)] + ["͸x é"]
+    got = encoder.encode(texts)
+    assert [g for g in got] == [encoder._library_ids(t) for t in texts]
+    assert len(seen) < 40
